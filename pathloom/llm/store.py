@@ -1,44 +1,5 @@
-"""Tables that cut lineage: written Parquet in the folder that all executors share."""
+"""Tables that cut lineage, as in the rest of the library."""
 
-from __future__ import annotations
+from ..sources.store import forget, new_path, shared_folder, written
 
-import tempfile
-import uuid
-
-from pyspark.sql import DataFrame, SparkSession
-
-_SETTING = "spark.checkpoint.dir"
-
-
-def shared_folder(spark: SparkSession) -> str:
-    """The folder named in spark.checkpoint.dir; a temporary one only where the setting is absent (local tests)."""
-    found = spark.conf.get(_SETTING, None) or spark.sparkContext.getConf().get(_SETTING)
-    if not found:
-        checkpoint = spark.sparkContext._jsc.sc().getCheckpointDir()
-        found = checkpoint.get() if checkpoint.isDefined() else None
-    if not found:
-        found = getattr(spark, "_pathloom_folder", None)
-        if not found:
-            found = spark._pathloom_folder = "file://" + tempfile.mkdtemp(prefix="pathloom-")
-    return found.rstrip("/")
-
-
-def new_path(spark: SparkSession, name: str) -> str:
-    return f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex}"
-
-
-def written(df: DataFrame, name: str) -> DataFrame:
-    """The rows of df, computed once and read back from the shared folder: a lost executor costs no recomputation."""
-    spark = df.sparkSession
-    path = new_path(spark, name)
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
-
-
-def forget(*frames: DataFrame) -> None:
-    """Delete tables that written() made and that no later step reads."""
-    for df in frames:
-        jvm = df.sparkSession._jvm
-        for file in {f.rsplit("/", 1)[0] for f in df.inputFiles()}:
-            path = jvm.org.apache.hadoop.fs.Path(file)
-            path.getFileSystem(df.sparkSession._jsparkSession.sessionState().newHadoopConf()).delete(path, True)
+__all__ = ["forget", "new_path", "shared_folder", "written"]
