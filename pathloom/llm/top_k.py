@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 K, SCALE, EVERY = 5, 256, 50
-BLOCK, QUERIES, SHIFT, CHECK_EVERY, FEW = 8192, 1024, 4, 32, 64
+BLOCK, QUERIES, SHIFT, CHECK_EVERY, FEW = 32_768, 128, 4, 32, 2048
 
 
 class ImpactIndex:
@@ -114,8 +114,10 @@ def top_k(vectors: DataFrame, queries: DataFrame, k: int = K, scale: int = SCALE
     """query_id, rank, vec_id, score: for each row of queries the k best rows of vectors but those of its own id."""
     from .store import written
 
-    data = written(_packed(_ready(vectors, id_col, vector_col, scale), BLOCK, "block"), "impact-blocks")
-    asked = written(_packed(_ready(queries, id_col, vector_col, scale).repartition(4), QUERIES, "part"), "impact-queries")
+    ready = _ready(vectors, id_col, vector_col, scale)
+    # Rows are dealt evenly to as many tasks as there are blocks: a fuller block is searched with less work for each row.
+    data = written(_packed(ready.repartition(1 + ready.count() // BLOCK), BLOCK, "block"), "impact-blocks")
+    asked = written(_packed(_ready(queries, id_col, vector_col, scale), QUERIES, "part"), "impact-queries")
     asked = asked.select("part", F.col("dims"), F.col("ids").alias("query_ids"), F.col("values").alias("query_values"))
     # Each data block goes to each query block of its length: the work is the product of both, so pairs are dealt by both ids.
     pairs = data.select("block", "dims").join(asked.select("part", "dims"), "dims")
