@@ -71,7 +71,7 @@ def bitmask_reach(graph: LabeledGraph, automaton: Automaton, seeds, literal_cap:
         if known is not None:
             return plan.spark.createDataFrame(sorted(k for k, m in known.items() if m & final), "seed long, v long")
         first = plan.rows(first)
-    bit = F.shiftleft(F.lit(1).cast("long"), F.col("q"))
+    bit = F.expr("shiftleft(1L, q)")
     new = written(first.groupBy("seed", "v").agg(F.bit_or(bit).alias("mask")), "masks")
     known = new
     while plan.steps and not new.isEmpty():
@@ -95,7 +95,7 @@ def seed_blocks_reach(graph: LabeledGraph, automaton: Automaton, seeds: DataFram
     placed = written(numbered, "seeds").withColumn("_at", slots).select("seed", (F.col("_part").cast("long") * F.lit(1 << 32) + F.floor(F.col("_at") / SEEDS)).alias("block"), (F.col("_at") % SEEDS).cast("int").alias("bit"))
     placed = written(placed, "seeds")
     states = F.array(*map(F.lit, sorted(automaton.starts))).cast("array<int>")
-    new = written(placed.select("block", F.explode(states).alias("q"), F.col("seed").alias("v"), F.shiftleft(F.lit(1).cast("long"), F.col("bit")).alias("mask")), "seeds")
+    new = written(placed.select("block", F.explode(states).alias("q"), F.col("seed").alias("v"), F.expr("shiftleft(1L, bit)").alias("mask")), "seeds")
     known, delta = new, plan.delta_df()
     while plan.steps and not new.isEmpty():
         parts = [new.join(delta, "q").join(e.withColumnRenamed("src", "v"), ["v", "label", "inv"]).select("block", F.col("q2").alias("q"), F.col("dst").alias("v"), "mask") for e in plan.edge_tables()]

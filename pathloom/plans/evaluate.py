@@ -7,6 +7,7 @@ import time
 from collections.abc import Callable, Iterable
 from dataclasses import dataclass
 
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.functions import udtf
@@ -93,8 +94,6 @@ class PathAutomaton:
 
 def accepts_udf(text: str):
     """A vectorised function: does a word (labels joined by blanks, ^ for inverted) belong to the expression?"""
-    import pandas as pd
-
     automaton = compile_expr(parse_pattern(text))
 
     @F.pandas_udf("boolean")

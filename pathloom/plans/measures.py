@@ -88,7 +88,7 @@ def quadtree(matrix: DataFrame, levels: int) -> DataFrame:
     for level in range(levels):
         down = levels - level
         child = lambda c: F.shiftright(c, down - 1)
-        bit = F.shiftleft(F.lit(1), ((child(F.col("row")) % 2) * 2 + child(F.col("col")) % 2).cast("int"))
+        bit = F.call_function("shiftleft", F.lit(1), ((child(F.col("row")) % 2) * 2 + child(F.col("col")) % 2).cast("int"))
         nodes = matrix.groupBy(F.shiftright("row", down).alias("i"), F.shiftright("col", down).alias("j")).agg(F.bit_or(bit).alias("bits")).select(F.lit(level).alias("level"), "i", "j", "bits")
         out = nodes if out is None else out.unionAll(nodes)
     return out
