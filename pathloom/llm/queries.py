@@ -91,7 +91,7 @@ ORACLES: dict[str, str] = {
         FROM p LEFT JOIN ctx ON ctx.conv_id = p.conv_id""",
     "op2_line_dedup": rf"""
         WITH cut AS (SELECT row_number() OVER () AS r, page_id, {_HOST} AS host,
-                            regexp_split_to_array(regexp_replace(coalesce(html, ''), '(?is)<script\b.*?</script[ \t\n\r\f]*>|<style\b.*?</style[ \t\n\r\f]*>|<!--.*?-->', chr(10), 'g'), '<[^>]*>|[\n\r]+') AS parts
+                            regexp_split_to_array(coalesce(html, ''), '(?is)<script\b.*?</script[ \t\n\r\f]*>|<style\b.*?</style[ \t\n\r\f]*>|<!--.*?-->|<[^>]*>|[\n\r]+') AS parts
                      FROM pages),
              line AS (SELECT r, page_id, host, i, regexp_replace(parts[i], '\A[ \t\n\r\f]+|[ \t\n\r\f]+\z', '', 'g') AS x
                       FROM (SELECT r, page_id, host, parts, unnest(generate_series(1, len(parts))) AS i FROM cut)),
