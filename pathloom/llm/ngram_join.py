@@ -4,12 +4,12 @@ Documents are sets of hashed k-word shingles; two link when intersection / union
 
 1. One pass finds tokens that are frequent somewhere (a fixed-size table of counts by hash cell). It orders tokens: rare first, then
    by hash. Any order gives the same links; this one keeps frequent tokens out of the prefixes.
-2. A second pass gives each document its size, a digest of its set and its prefix: the first n - ceil(t n) + 1 tokens in that order. Two linked
-   sets share a token of both prefixes. Documents of equal digests are one class from here on.
-3. Classes that share a prefix token with another class are dealt to groups of similar sets: those with the same most frequent prefix
-   token, split into slices of at most MEMBERS classes and TOKENS tokens.
-4. The token-group matrix holds, for each group, its members' prefix tokens and range of sizes. A class meets a group only if a prefix
-   token of it stands in the group's row and the sizes allow a link. So a family of m near copies costs m times its groups, not m * m.
+2. A second pass gives each document its size, a digest of its set and its prefix: the first n - ceil(t n) + k tokens in that order, with
+   k = min(SHARED, ceil(t n)). Two linked sets share min(k) tokens of both prefixes. Documents of equal digests are one class from here on.
+3. Classes that share a prefix token with another class are dealt to groups of similar sets: those with the same least hash, which sets of
+   Jaccard similarity j have with probability j, split into slices of at most MEMBERS classes and TOKENS tokens.
+4. The token-group matrix holds, for each group, its members' prefix tokens and range of sizes. A class meets a group only if min(k) prefix
+   tokens of it stand in the group's row and the sizes allow a link. So a family of m near copies costs m times its groups, not m * m.
 5. In a task for one group and at most QUERIES of its classes, the union of the members' whole sets bounds the overlap of each query
    with every member; only queries with a bound of t n or more open the group, and get exact overlaps with all members.
    A task returns a spanning forest of its links and the number of links by class, not the pairs.
@@ -36,8 +36,8 @@ from .store import forget, written
 from .words import mix, shingle_sets
 
 WORDS, NUM, DEN = 3, 90, 100
-MEMBERS, QUERIES, TOKENS = 256, 512, 400_000
-_CELL_BITS = 20
+MEMBERS, QUERIES, TOKENS, SHARED = 256, 512, 400_000, 5
+_CELL_BITS = 22
 _ROWS = 128
 
 
@@ -52,13 +52,13 @@ def frequent_cells(docs: DataFrame, k: int) -> np.ndarray:
                 for s in shingle_sets(batch.column(0).slice(at, _ROWS).to_pylist(), k):
                     waiting.append((s >> np.uint64(64 - _CELL_BITS)).astype(np.int32))
                     held += len(s)
-                    if held > 4 * cells:
+                    if held > cells:
                         total += np.bincount(np.concatenate(waiting), minlength=cells)
                         waiting, held = [], 0
         if waiting:
             total += np.bincount(np.concatenate(waiting), minlength=cells)
         mean = total.mean()
-        found = np.flatnonzero(total > mean + 6 * np.sqrt(mean) + 4)
+        found = np.flatnonzero(total > mean + 2.5 * np.sqrt(mean) + 1)
         yield pa.RecordBatch.from_arrays([pa.array(found, pa.int32()), pa.array(total[found], pa.int64())], ["cell", "n"])
 
     rows = docs.select("text").mapInArrow(count, "cell int, n long").groupBy("cell").agg(F.sum("n").alias("n")).toPandas()
@@ -76,27 +76,28 @@ def digests(s: np.ndarray) -> tuple[int, int]:
 
 
 def set_features(docs: DataFrame, k: int, num: int, den: int) -> DataFrame:
-    """doc_id, n, d1, d2, prefix of each row."""
+    """doc_id, n, d1, d2, least (hash), prefix of each row."""
     cells = frequent_cells(docs, k)
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for at in range(0, batch.num_rows, _ROWS):
                 part = batch.slice(at, _ROWS)
-                size, one, two, prefix = [], [], [], []
+                size, one, two, least, prefix = [], [], [], [], []
                 for s in shingle_sets(part.column(1).to_pylist(), k):
                     n = len(s)
-                    first = n - (n * num + den - 1) // den + 1 if n else 0
+                    needed = (n * num + den - 1) // den
+                    first = n - needed + min(SHARED, needed)
                     seen = cells[(s >> np.uint64(64 - _CELL_BITS)).astype(np.int64)]
                     chosen = s[np.lexsort((s, seen))[:first]] if seen.any() else s[:first]
                     a, b = digests(s)
-                    size.append(n), one.append(a), two.append(b), prefix.append(chosen.view(np.int64))
+                    size.append(n), one.append(a), two.append(b), least.append(int(s[0].view(np.int64)) if n else 0), prefix.append(chosen.view(np.int64))
                 offsets = np.concatenate(([0], np.cumsum([len(p) for p in prefix])))
                 flat = pa.array(np.concatenate(prefix) if prefix else np.empty(0, np.int64), pa.int64())
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(size, pa.int32()), pa.array(one, pa.int64()), pa.array(two, pa.int64()), pa.ListArray.from_arrays(pa.array(offsets, pa.int32()), flat)], ["doc_id", "n", "d1", "d2", "prefix"])
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(size, pa.int32()), pa.array(one, pa.int64()), pa.array(two, pa.int64()), pa.array(least, pa.int64()), pa.ListArray.from_arrays(pa.array(offsets, pa.int32()), flat)], ["doc_id", "n", "d1", "d2", "least", "prefix"])
 
     ready = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    return ready.mapInArrow(rows, "doc_id long, n int, d1 long, d2 long, prefix array<long>")
+    return ready.mapInArrow(rows, "doc_id long, n int, d1 long, d2 long, least long, prefix array<long>")
 
 
 def whole_sets(docs: DataFrame, wanted: DataFrame, k: int) -> DataFrame:
@@ -166,7 +167,7 @@ def group_links(work: DataFrame, num: int, den: int) -> DataFrame:
     """key, root, links of the classes that link, for rows (gid, part, own, key, copies, tokens). Links within a group are found in its part 0."""
 
     def search(rows: pd.DataFrame) -> pd.DataFrame:
-        rows = rows.sort_values("key", ignore_index=True)
+        rows = rows.drop_duplicates(["key", "own"]).sort_values("key", ignore_index=True)
         own = rows["own"].to_numpy(bool)
         members, others = np.flatnonzero(own), np.flatnonzero(~own)
         sets = [t.view(np.uint64) if isinstance(t, np.ndarray) else np.array(t, np.int64).view(np.uint64) for t in rows["tokens"]]
@@ -212,18 +213,20 @@ def jaccard_classes(docs: DataFrame, k: int = WORDS, num: int = NUM, den: int =
     """doc_id, n_shingles, component_id (smallest doc_id reached over links), n_links (rows that the row itself links with)."""
     features = written(set_features(docs, k, num, den), "sets")
     some = features.filter("n > 0 and doc_id is not null")
-    classes = written(some.groupBy("n", "d1", "d2").agg(F.min("doc_id").alias("rep"), F.count("*").alias("copies"), F.first("prefix").alias("prefix")).withColumnRenamed("d1", "key"), "classes")
+    classes = written(some.groupBy("n", "d1", "d2", "least").agg(F.min("doc_id").alias("rep"), F.count("*").alias("copies"), F.first("prefix").alias("prefix")).withColumnRenamed("d1", "key"), "classes")
     posted = classes.select(F.explode("prefix").alias("token"), "key", "n")
-    shared = posted.groupBy("token").agg(F.count("*").alias("df")).filter("df > 1")
+    shared = posted.groupBy("token").agg(F.count("*").alias("df")).filter("df > 1").select("token")
     live = written(posted.join(shared, "token"), "postings")
 
-    anchored = live.groupBy("key", "n").agg(F.max(F.struct("df", "token"))["token"].alias("anchor"))
-    slices = anchored.groupBy("anchor").agg(F.ceil(F.greatest(F.count("*") / F.lit(MEMBERS), F.sum("n") / F.lit(TOKENS))).alias("slices"))
-    grouped = written(anchored.join(slices, "anchor").select("key", "n", F.xxhash64("anchor", F.pmod(F.xxhash64("key"), "slices")).alias("gid")), "groups")
+    alike = live.select("key").distinct().join(classes.select("key", "n", "least"), "key")
+    slices = alike.groupBy("least").agg(F.ceil(F.greatest(F.count("*") / F.lit(MEMBERS), F.sum("n") / F.lit(TOKENS))).alias("slices"))
+    grouped = written(alike.join(slices, "least").select("key", "n", F.xxhash64("least", F.pmod(F.xxhash64("key"), "slices")).alias("gid")), "groups")
     placed = written(live.join(grouped.select("key", "gid"), "key").select("token", "key", "n", "gid"), "matrix")
     matrix = placed.groupBy("token", F.col("gid").alias("met")).agg(F.min("n").alias("low"), F.max("n").alias("high"))
     sizes_fit = (F.col("high") * den >= F.col("n") * num) & (F.col("low") * num <= F.col("n") * den)
-    met = written(placed.join(matrix, "token").filter((F.col("gid") > F.col("met")) & sizes_fit).select("key", "n", F.col("met").alias("gid")).distinct(), "meetings")
+    needed = lambda n: F.least(F.lit(SHARED), F.ceil(n * F.lit(num) / F.lit(den)))
+    pairs = placed.join(matrix, "token").filter((F.col("gid") > F.col("met")) & sizes_fit).groupBy("key", "n", F.col("met").alias("gid")).agg(F.count("*").alias("_shared"), F.min("low").alias("_low"))
+    met = written(pairs.filter(F.col("_shared") >= F.least(needed(F.col("n")), needed(F.col("_low")))).select("key", "n", "gid"), "meetings")
 
     asked = met.groupBy("gid").agg(F.ceil(F.greatest(F.count("*") / F.lit(QUERIES), F.sum("n") / F.lit(2 * TOKENS))).alias("parts"))
     held = grouped.groupBy("gid").agg(F.count("*").alias("members"))
@@ -232,7 +235,7 @@ def jaccard_classes(docs: DataFrame, k: int = WORDS, num: int = NUM, den: int =
     queries = met.join(parts, "gid").select("gid", F.pmod(F.xxhash64("key"), "parts").cast("int").alias("part"), F.lit(False).alias("own"), "key")
     work = written(members.unionAll(queries), "work")
     wanted = work.select("key").distinct().join(classes.select("key", "rep", "copies"), "key")
-    sets = whole_sets(docs, wanted, k).dropDuplicates(["key"])
+    sets = whole_sets(docs, wanted, k)
     ready = work.join(sets, "key").join(classes.select("key", "copies"), "key")
     found = written(group_links(ready, num, den), "found")
     forget(live, placed, met, work, grouped)
