@@ -7,7 +7,8 @@ Documents are sets of hashed k-word shingles; two link when intersection / union
 2. A second pass gives each document its size, a digest of its set and its prefix: the first n - ceil(t n) + k tokens in that order, with
    k = min(SHARED, ceil(t n)). Two linked sets share min(k) tokens of both prefixes. Documents of equal digests are one class from here on.
 3. Classes that share a prefix token with another class are dealt to groups of similar sets: those with the same least hash, which sets of
-   Jaccard similarity j have with probability j, split into slices of at most MEMBERS classes and TOKENS tokens.
+   Jaccard similarity j have with probability j. Sets alone with theirs are dealt again by the least under a second and a third hash.
+   Groups are split into slices of at most MEMBERS classes and TOKENS tokens.
 4. The token-group matrix holds, for each group, its members' prefix tokens and range of sizes. A class meets a group only if min(k) prefix
    tokens of it stand in the group's row and the sizes allow a link. So a family of m near copies costs m times its groups, not m * m.
 5. In a task for one group and at most QUERIES of its classes, the union of the members' whole sets bounds the overlap of each query
@@ -36,13 +37,15 @@ from .store import forget, written
 from .words import mix, shingle_sets
 
 WORDS, NUM, DEN = 3, 90, 100
-MEMBERS, QUERIES, TOKENS, SHARED = 256, 512, 400_000, 5
+MEMBERS, QUERIES, TOKENS, SHARED, HASHES = 256, 512, 400_000, 5, 3
+#: Up to so many groups of more than one class their sizes are broadcast; beyond it they are joined.
+BROADCAST_GROUPS = 200_000
 _CELL_BITS = 22
 _ROWS = 128
 
 
 def frequent_cells(docs: DataFrame, k: int) -> np.ndarray:
-    """Counts of the hash cells that stand out in some partition, else 0. The size is fixed, whatever the input."""
+    """Levels (by the logarithm) of the counts of the hash cells that stand out in some partition, else 0. The size is fixed, whatever the input."""
     cells = 1 << _CELL_BITS
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -61,9 +64,10 @@ def frequent_cells(docs: DataFrame, k: int) -> np.ndarray:
         found = np.flatnonzero(total > mean + 2.5 * np.sqrt(mean) + 1)
         yield pa.RecordBatch.from_arrays([pa.array(found, pa.int32()), pa.array(total[found], pa.int64())], ["cell", "n"])
 
-    rows = docs.select("text").mapInArrow(count, "cell int, n long").groupBy("cell").agg(F.sum("n").alias("n")).toPandas()
-    out = np.zeros(cells, np.int32)
-    out[rows["cell"].to_numpy(int)] = np.minimum(rows["n"].to_numpy(np.int64), 2**31 - 1)
+    level = F.least(F.lit(127), F.round(8 * F.log2(F.sum("n"))) / 3).cast("byte")
+    rows = docs.select("text").mapInArrow(count, "cell int, n long").groupBy("cell").agg(level.alias("level")).toArrow()
+    out = np.zeros(cells, np.int8)
+    out[rows["cell"].to_numpy()] = rows["level"].to_numpy()
     return out
 
 
@@ -76,7 +80,7 @@ def digests(s: np.ndarray) -> tuple[int, int]:
 
 
 def set_features(docs: DataFrame, k: int, num: int, den: int) -> DataFrame:
-    """doc_id, n, d1, d2, least (hash), prefix of each row."""
+    """doc_id, n, d1, d2, least (least hash under each of HASHES functions), prefix of each row."""
     cells = frequent_cells(docs, k)
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -91,13 +95,13 @@ def set_features(docs: DataFrame, k: int, num: int, den: int) -> DataFrame:
                     seen = cells[(s >> np.uint64(64 - _CELL_BITS)).astype(np.int64)]
                     chosen = s[np.lexsort((s, seen))[:first]] if seen.any() else s[:first]
                     a, b = digests(s)
-                    size.append(n), one.append(a), two.append(b), least.append(int(s[0].view(np.int64)) if n else 0), prefix.append(chosen.view(np.int64))
+                    size.append(n), one.append(a), two.append(b), least.append([int((mix(s ^ np.uint64(i)) if i else s).min()) >> 1 for i in range(HASHES)] if n else [0] * HASHES), prefix.append(chosen.view(np.int64))
                 offsets = np.concatenate(([0], np.cumsum([len(p) for p in prefix])))
                 flat = pa.array(np.concatenate(prefix) if prefix else np.empty(0, np.int64), pa.int64())
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(size, pa.int32()), pa.array(one, pa.int64()), pa.array(two, pa.int64()), pa.array(least, pa.int64()), pa.ListArray.from_arrays(pa.array(offsets, pa.int32()), flat)], ["doc_id", "n", "d1", "d2", "least", "prefix"])
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(size, pa.int32()), pa.array(one, pa.int64()), pa.array(two, pa.int64()), pa.array(least, pa.list_(pa.int64())), pa.ListArray.from_arrays(pa.array(offsets, pa.int32()), flat)], ["doc_id", "n", "d1", "d2", "least", "prefix"])
 
     ready = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    return ready.mapInArrow(rows, "doc_id long, n int, d1 long, d2 long, least long, prefix array<long>")
+    return ready.mapInArrow(rows, "doc_id long, n int, d1 long, d2 long, least array<long>, prefix array<long>")
 
 
 def whole_sets(docs: DataFrame, wanted: DataFrame, k: int) -> DataFrame:
@@ -209,6 +213,20 @@ def components(edges: DataFrame) -> DataFrame:
     return roots.unionAll(edges.select(F.col("b").alias("node"), F.col("b").alias("component")).distinct())
 
 
+def similar_groups(classes: DataFrame) -> DataFrame:
+    """key, n, gid for classes (key, n, least): by the first hash function under which another class has the same least, else alone."""
+    out, rest = None, classes
+    for i in range(HASHES):
+        rest = rest.withColumn("_least", F.col("least")[i])
+        sizes = rest.groupBy("_least").agg(F.ceil(F.greatest(F.count("*") / F.lit(MEMBERS), F.sum("n") / F.lit(TOKENS))).alias("slices"), F.count("*").alias("_n"))
+        sizes = written(sizes.filter("_n > 1").drop("_n"), "slices")
+        found = written(rest.join(F.broadcast(sizes) if sizes.count() <= BROADCAST_GROUPS else sizes, "_least", "left"), "dealt")
+        dealt = found.filter("slices is not null").select("key", "n", F.xxhash64(F.lit(i), "_least", F.pmod(F.xxhash64("key"), "slices")).alias("gid"))
+        out = dealt if out is None else out.unionAll(dealt)
+        rest = found.filter("slices is null").select("key", "n", "least")
+    return out.unionAll(rest.select("key", "n", F.xxhash64(F.lit(HASHES), "key").alias("gid")))
+
+
 def jaccard_classes(docs: DataFrame, k: int = WORDS, num: int = NUM, den: int = DEN) -> DataFrame:
     """doc_id, n_shingles, component_id (smallest doc_id reached over links), n_links (rows that the row itself links with)."""
     features = written(set_features(docs, k, num, den), "sets")
@@ -218,9 +236,7 @@ def jaccard_classes(docs: DataFrame, k: int = WORDS, num: int = NUM, den: int =
     shared = posted.groupBy("token").agg(F.count("*").alias("df")).filter("df > 1").select("token")
     live = written(posted.join(shared, "token"), "postings")
 
-    alike = live.select("key").distinct().join(classes.select("key", "n", "least"), "key")
-    slices = alike.groupBy("least").agg(F.ceil(F.greatest(F.count("*") / F.lit(MEMBERS), F.sum("n") / F.lit(TOKENS))).alias("slices"))
-    grouped = written(alike.join(slices, "least").select("key", "n", F.xxhash64("least", F.pmod(F.xxhash64("key"), "slices")).alias("gid")), "groups")
+    grouped = written(similar_groups(written(live.select("key").distinct().join(classes.select("key", "n", "least"), "key"), "alike")), "groups")
     placed = written(live.join(grouped.select("key", "gid"), "key").select("token", "key", "n", "gid"), "matrix")
     matrix = placed.groupBy("token", F.col("gid").alias("met")).agg(F.min("n").alias("low"), F.max("n").alias("high"))
     sizes_fit = (F.col("high") * den >= F.col("n") * num) & (F.col("low") * num <= F.col("n") * den)
