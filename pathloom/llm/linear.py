@@ -11,7 +11,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 #: A model learns from at most so many labelled rows, those of the smallest hash of the id. Models are bounded by their hash buckets.
-SAMPLE, BUCKET_BITS = 16_000, 20
+SAMPLE, BUCKET_BITS = 12_000, 20
 _ROWS = 128
 
 #: A text's features: ascending bucket numbers and their values.
@@ -52,27 +52,32 @@ def sigmoid(x: np.ndarray | float) -> np.ndarray | float:
     return 1 / (1 + np.exp(-np.clip(x, -35, 35)))
 
 
-def model_of(sample: DataFrame, features: Callable[[list], list], fit: Callable[[list, np.ndarray], np.ndarray]) -> np.ndarray:
-    """Weights by bucket. Features are made where the texts are; one task learns from the bounded sample, in an order set by the ids."""
+def model_of(sample: DataFrame, features: Callable[[list], list[tuple[Sparse, Sparse | None]]], fit: Callable[[list, np.ndarray], np.ndarray]) -> np.ndarray:
+    """Weights by bucket. features gives each text's features and, or None, those of its twin. They are made where the texts are; one
+    task learns from the bounded sample, in an order set by the ids. Features travel as 4-byte numbers and are read in place."""
 
     def featurise(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        import pickle
-
         for batch in batches:
             for at in range(0, len(batch), _ROWS):
                 part = batch.iloc[at : at + _ROWS]
-                yield pd.DataFrame({"doc_id": part["doc_id"], "y": part["y"], "x": [pickle.dumps(x) for x in features(part["text"].tolist())]})
+                found = features(part["text"].tolist())
+                raw = lambda x, i, kind: None if x is None else x[i].astype(kind).tobytes()
+                columns = {f"{name}{i}": [raw(f[j], i, kind) for f in found] for j, name in enumerate(("x", "twin")) for i, kind in enumerate((np.int32, np.float32))}
+                yield pd.DataFrame({"doc_id": part["doc_id"].to_numpy(), "y": part["y"].to_numpy(), **columns})
 
     def learn(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        import pickle
-
-        rows = pd.concat([*batches, pd.DataFrame({"doc_id": [], "y": [], "x": []})]).sort_values(["doc_id", "y"], kind="stable")
-        if len(rows):
-            w = fit([pickle.loads(x) for x in rows["x"]], rows["y"].to_numpy(float))
+        rows: list[tuple] = []
+        for batch in batches:
+            rows += zip(*(batch[c] for c in ("doc_id", "y", "x0", "x1", "twin0", "twin1")), strict=True)
+        rows.sort(key=lambda r: r[:3])
+        if rows:
+            read = lambda at, value: None if at is None else (np.frombuffer(at, np.int32), np.frombuffer(value, np.float32))
+            w = fit([(read(*r[2:4]), read(*r[4:])) for r in rows], np.array([r[1] for r in rows], float))
             at = np.flatnonzero(w)
             yield pd.DataFrame({"at": at.astype(np.int32), "w": w[at]})
 
-    rows = sample.mapInPandas(featurise, "doc_id long, y int, x binary").repartition(1).mapInPandas(learn, "at int, w double").toPandas()
+    made = sample.mapInPandas(featurise, "doc_id long, y int, x0 binary, x1 binary, twin0 binary, twin1 binary")
+    rows = made.repartition(1).mapInPandas(learn, "at int, w double").toPandas()
     out = np.zeros(1 << BUCKET_BITS, np.float32)
     out[rows["at"].to_numpy(int)] = rows["w"].to_numpy(np.float32)
     return out
@@ -87,7 +92,7 @@ def scored(docs: DataFrame, features: Callable[[list], list], weights: np.ndarra
         for batch in batches:
             found = []
             for at in range(0, batch.num_rows, _ROWS):
-                found += [weights[i] @ v for i, v in features(batch.column(at_text).slice(at, _ROWS).to_pylist())]
+                found += [(weights[i] * v).sum() for i, v in features(batch.column(at_text).slice(at, _ROWS).to_pylist())]
             p = sigmoid(np.array(found, np.float64))
             if keep is not None:
                 yield batch.filter(pa.array(keep(p)))

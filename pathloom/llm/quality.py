@@ -54,7 +54,7 @@ def features(texts: list) -> list[Sparse]:
         lowered[(lowered >= ord("A")) & (lowered <= ord("Z"))] += 32
         word, shape = words.hashes(body=lowered), shapes(words)
         same = np.zeros(len(word), bool)
-        same[1:] = word[1:] == word[:-1]
+        same[1:] = (word[1:] == word[:-1]) & (words.doc[1:] == words.doc[:-1])
         shape = np.where(same, mix(np.uint64([77]))[0], shape)
         kinds = [(mix(h ^ np.uint64(i + 1)), n) for i, (h, n) in enumerate(((word, 1), (chained(word, 2), 2), (shape, 1), (chained(shape, 2), 2)))]
         end = np.cumsum(words.counts)
@@ -68,18 +68,18 @@ def features(texts: list) -> list[Sparse]:
     return out
 
 
-def fit(rows: list[Sparse], y: np.ndarray) -> np.ndarray:
+def fit(rows: list[tuple[Sparse, None]], y: np.ndarray) -> np.ndarray:
     learner = Ftrl(1 << BUCKET_BITS, RATE, L1, L2)
     for epoch in range(EPOCHS):
         for i in np.random.default_rng(epoch).permutation(len(rows)).tolist():
-            at, value = rows[i]
+            at, value = rows[i][0]
             w = learner.weights(at)
-            learner.step(at, (sigmoid(w @ value) - y[i]) * value, w)
+            learner.step(at, (sigmoid((w * value).sum()) - y[i]) * value, w)
     return learner.weights(slice(None))
 
 
 def train(docs: DataFrame, labels: DataFrame, bound: int = SAMPLE) -> np.ndarray:
-    return model_of(labelled_sample(docs, labels, "quality", bound), features, fit)
+    return model_of(labelled_sample(docs, labels, "quality", bound), lambda texts: [(x, None) for x in features(texts)], fit)
 
 
 def quality_scores(docs: DataFrame, labels: DataFrame, threshold: float = THRESHOLD, bound: int = SAMPLE) -> DataFrame:

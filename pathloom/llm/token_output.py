@@ -175,9 +175,11 @@ def write_tokens(docs: DataFrame, path: str, tokenizer_path: str, end_id: int =
     return path
 
 
-def read_tokens(spark: SparkSession, path: str) -> DataFrame:
-    """doc_id, ids, _file, _block, _row: the last three give the written order (a task reads the rows of a block in their order)."""
+def read_tokens(spark: SparkSession, path: str, ordered: bool = False) -> DataFrame:
+    """doc_id, ids; filters on doc_id reach the stripes' metadata. With ordered also _file, _block, _row: the written order (a task reads the rows of a block in their order)."""
     rows = spark.read.schema("doc_id long, ids array<int>").orc(path)
+    if not ordered:
+        return rows
     return rows.select("doc_id", "ids", F.col("_metadata.file_name").alias("_file"), F.col("_metadata.file_block_start").alias("_block"), F.monotonically_increasing_id().alias("_row"))
 
 
@@ -191,7 +193,7 @@ def token_report(spark: SparkSession, path: str) -> DataFrame:
             crc = [zlib.crc32(flat[a:b].tobytes()) for a, b in zip(ends[:-1].tolist(), ends[1:].tolist(), strict=True)]
             yield pa.RecordBatch.from_arrays([batch["doc_id"], batch["_file"], batch["_block"], batch["_row"], pa.array(np.diff(ends), pa.int64()), pa.array(crc, pa.int64())], ["doc_id", "file", "block", "row", "n_tokens", "ids_crc32"])
 
-    rows = written(read_tokens(spark, path).mapInArrow(digest, "doc_id long, file string, block long, row long, n_tokens long, ids_crc32 long"), "digests")
+    rows = written(read_tokens(spark, path, ordered=True).mapInArrow(digest, "doc_id long, file string, block long, row long, n_tokens long, ids_crc32 long"), "digests")
     files = rows.groupBy("file").agg(F.sum("n_tokens").alias("_n"), F.min(F.struct(F.col("doc_id").isNotNull().alias("some"), "doc_id")).alias("_first"))
     before = lambda w: F.coalesce(F.sum("_n").over(w.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
     offsets = files.select("file", before(Window.partitionBy(F.lit(0)).orderBy("_first.some", "_first.doc_id", "file")).alias("_offset"))

@@ -23,7 +23,7 @@ from pyspark.sql import functions as F
 from .linear import BUCKET_BITS, SAMPLE, Ftrl, Sparse, held_out, labelled_sample, model_of, scored, sigmoid
 from .words import Words, encoded, mix, pieces
 
-THRESHOLD, EPOCHS, RATE, L1, L2, STRENGTH = 0.5, 4, 0.1, 0.5, 1.0, 4.0
+THRESHOLD, EPOCHS, RATE, L1, L2, STRENGTH = 0.5, 10, 2.0, 3.0, 0.0, 4.0
 BEGINNINGS = (4, 5, 6)
 #: Groups of identity terms; each term is swapped for the next of its group.
 IDENTITY_TERMS = (
