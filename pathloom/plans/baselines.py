@@ -19,8 +19,13 @@ from ..sources.store import written
 
 def indexed_reach(graph: LabeledGraph, automaton: Automaton, seeds: Iterable[int], labels: Iterable[str] | None = None) -> DataFrame:
     """seed, v. One copy of all edges for each direction, found by vertex alone; labels are compared after the join with the edges."""
-    spark, all_ = graph.spark, graph.triples(labels)
-    both = all_.select("label", F.lit(0).alias("inv"), F.col("src").alias("v"), "dst").unionAll(all_.select("label", F.lit(1).alias("inv"), F.col("dst").alias("v"), F.col("src").alias("dst")))
+    spark, copies = graph.spark, graph.__dict__.setdefault("_by_vertex", {})
+    name = None if labels is None else tuple(sorted(labels))
+    if name not in copies:  # both directions in one table, written once
+        all_ = graph.triples(labels)
+        both = all_.select("label", F.lit(0).alias("inv"), F.col("src").alias("v"), "dst").unionAll(all_.select("label", F.lit(1).alias("inv"), F.col("dst").alias("v"), F.col("src").alias("dst")))
+        copies[name] = written(both.repartitionByRange("v").sortWithinPartitions("v"), "by-vertex")
+    both = copies[name]
     delta = F.broadcast(automaton.to_df(spark))
     new = written(spark.createDataFrame([(s, q, s) for s in seeds for q in automaton.starts], TRIPLE), "indexed")
     pieces = [new]

@@ -39,3 +39,11 @@ def forget(*frames: DataFrame) -> None:
         for file in {f.rsplit("/", 1)[0] for f in df.inputFiles()}:
             path = jvm.org.apache.hadoop.fs.Path(file)
             path.getFileSystem(df.sparkSession._jsparkSession.sessionState().newHadoopConf()).delete(path, True)
+
+
+def release(spark: SparkSession) -> None:
+    """Let Spark's cleaner delete shuffle files of plans that nothing refers to any more; it acts on the driver's garbage collections."""
+    import gc
+
+    gc.collect()
+    spark._jvm.System.gc()
