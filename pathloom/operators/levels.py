@@ -7,7 +7,7 @@ partition and row group statistics prune. Beyond it a level is a join plan, and
 from __future__ import annotations
 
 from collections import defaultdict
-from collections.abc import Iterable
+from collections.abc import Iterable, Iterator
 from dataclasses import dataclass, field
 
 from pyspark.sql import DataFrame
@@ -60,9 +60,7 @@ class Plan:
         return F.broadcast(self.spark.createDataFrame(self.delta, "q int, label string, inv int, q2 int"))
 
     def edge_tables(self) -> list[DataFrame]:
-        """The edges of the query's steps, one table for each layout that the graph holds them in."""
-        if hasattr(self.graph, "hop_tables"):
-            return self.graph.hop_tables(self.steps)
+        """The edges of the query's steps."""
         return [self.graph.hops(self.steps)]
 
     def fetch(self, wanted: dict[tuple[str, int], set[int]]) -> dict[tuple[str, int, int], list[int]] | None:
@@ -102,7 +100,15 @@ class Plan:
 
     def step(self, frontier: DataFrame) -> DataFrame:
         """Distinct successors of a table (seed, q, v). The sum over labels comes before the one duplicate removal."""
-        delta, out = self.delta_df(), None
+        out = None
+        for found in self.moved_by_step(frontier) if hasattr(self.graph, "step_tables") else self.moved(frontier):
+            out = found if out is None else out.unionAll(found)
+        if out is None:
+            return self.rows([])
+        return out.distinct()
+
+    def moved(self, frontier: DataFrame) -> Iterator[DataFrame]:
+        delta = self.delta_df()
         for edges in self.edge_tables():
             edges = edges.withColumnRenamed("src", "v")
             if self.order == "automaton_first":
@@ -111,9 +117,14 @@ class Plan:
                 found = frontier.join(edges, "v").select("seed", "q", "label", "inv", "dst").join(delta, ["q", "label", "inv"])
             else:
                 raise ValueError(self.order)
-            found = found.select("seed", F.col("q2").alias("q"), F.col("dst").alias("v"))
-            out = found if out is None else out.unionAll(found)
-        return out.distinct()
+            yield found.select("seed", F.col("q2").alias("q"), F.col("dst").alias("v"))
+
+    def moved_by_step(self, frontier: DataFrame) -> Iterator[DataFrame]:
+        """The same for tables that are bucketed by vertex: one join on the vertex alone for each step of the query."""
+        for (label, inv), edges in self.graph.step_tables(self.steps):
+            rules = self.spark.createDataFrame([(q, q2) for q, x, i, q2 in self.delta if (x, i) == (label, inv)], "q int, q2 int")
+            ready = frontier.join(F.broadcast(rules), "q").select("seed", "q2", "v")
+            yield ready.join(edges.withColumnRenamed("src", "v"), "v").select("seed", F.col("q2").alias("q"), F.col("dst").alias("v"))
 
     def rows(self, rows: Iterable[tuple[int, int, int]]) -> DataFrame:
         return self.spark.createDataFrame(sorted(rows), TRIPLE)

@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 from ..functions.automaton import compile_expr
 from ..functions.expr import parse_pattern
 from ..functions.vertices import number, vid
+from ..operators import reach
 from ..sources import triples
 from ..sources.graph import dictionary, given_graph
 from ..sources.store import new_path
@@ -92,6 +93,14 @@ def sink_partitioned(spark, d):
     return triples.load_by_label(spark, path).triples(["adjacent", "resident_of"]).groupBy("label").agg(F.count("*").alias("n"))
 
 
+@query(oracles.one_seed("bench20_d", True, number("region", 3)))
+def sink_bucketed(spark, d):
+    """The widest pattern over two bucketed copies of the edges, which are not shuffled."""
+    name = new_path(spark, "bucketed").rpartition("-")[2]
+    graph = triples.save_bucketed(given_graph(spark, d), f"edges_{name}", 4, ["located", "resident_of", "adjacent", "within"], new_path(spark, "bucketed"))
+    return reach.traverse(graph, compile_expr(parse_pattern("(located|resident_of)(adjacent|within)*")).reverse(), [number("region", 3)], literal_cap=0).answers().select("v")
+
+
 # Projection and filters.
 
 

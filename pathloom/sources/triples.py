@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterable
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -41,9 +43,29 @@ def load_by_label(spark: SparkSession, path: str) -> EdgeTable:
     return EdgeTable(spark.read.schema("src long, dst long, label string").parquet(path), distinct=False)
 
 
-def save_bucketed(graph: LabeledGraph, name: str, buckets: int, labels=None) -> tuple[str, str]:
-    """Two tables, name_out and name_in, bucketed and sorted by src and by dst: joins on either end move no edges."""
+class BucketedGraph(LabeledGraph):
+    """A graph in two tables of one row an edge, bucketed and sorted by src and by dst. A traversal joins each step on the vertex alone, so
+    only the frontier is shuffled, into the tables' buckets."""
+
+    def __init__(self, spark: SparkSession, out_table: str, in_table: str, labels: Iterable[str]):
+        self.spark, self.out_table, self.in_table, self._labels = spark, out_table, in_table, sorted(labels)
+
+    def labels(self) -> list[str]:
+        return self._labels
+
+    def edges(self, label: str) -> DataFrame:
+        return self.spark.table(self.out_table).filter(F.col("label") == label).select("src", "dst")
+
+    def step_tables(self, steps: Iterable[tuple[str, int]]) -> list[tuple[tuple[str, int], DataFrame]]:
+        """For each step its edges (src, dst) in the direction of the step, read from the copy that is bucketed by src."""
+        turned = lambda label: self.spark.table(self.in_table).filter(F.col("label") == label).select(F.col("dst").alias("src"), F.col("src").alias("dst"))
+        return [((label, inv), turned(label) if inv else self.edges(label)) for label, inv in steps]
+
+
+def save_bucketed(graph: LabeledGraph, name: str, buckets: int, labels=None, folder: str | None = None) -> BucketedGraph:
+    """Two tables, name_out and name_in, bucketed and sorted by src and by dst; in a folder if one is given, else in the warehouse."""
     rows = graph.triples(labels)
     for table, key in ((f"{name}_out", "src"), (f"{name}_in", "dst")):
-        rows.repartition(buckets, key).write.mode("overwrite").format("parquet").bucketBy(buckets, key).sortBy(key).saveAsTable(table)
-    return f"{name}_out", f"{name}_in"
+        out = rows.repartition(buckets, key).write.mode("overwrite").format("parquet").bucketBy(buckets, key).sortBy(key)
+        (out.option("path", f"{folder}/{table}") if folder else out).saveAsTable(table)
+    return BucketedGraph(graph.spark, f"{name}_out", f"{name}_in", graph.labels() if labels is None else labels)

@@ -1,4 +1,5 @@
 from pathloom.operators.levels import Plan
+from pathloom.operators.reach import hybrid_reach, reverse_reach
 from pathloom.operators.relation import compose, relation
 from pathloom.sources import triples
 from pathloom.sources.graph import dictionary, given_graph
@@ -35,14 +36,15 @@ def test_save_and_load(spark, tmp_path):
     assert "PartitionFilters: [isnotnull(label" in plan and "PushedFilters: [IsNotNull(src), IsNotNull(dst), EqualTo(src,10)]" in plan.replace("GreaterThan", "") or "EqualTo(src,10)" in plan
 
 
-def test_bucketed_join_moves_no_edges(spark):
-    out, _ = triples.save_bucketed(graph(spark, HUB), "hub_edges", 4)
+def test_bucketed_traversal_moves_no_edges(spark, tmp_path):
+    g = triples.save_bucketed(graph(spark, HUB), "hub_edges", 4, folder=f"file://{tmp_path}/b")
     spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
     try:
-        frontier = spark.createDataFrame([(1, 10)], "q long, v long").repartition(4, "v")
-        joined = frontier.join(spark.table(out).withColumnRenamed("src", "v"), "v")
-        plan = joined._jdf.queryExecution().executedPlan().toString()
-        assert plan.count("Exchange") == 1
+        p = Plan(g, dfa("(c|g)(d|e)*"))
+        text = p.step(p.rows([(1, 0, 10)]))._jdf.queryExecution().executedPlan().toString()
+        assert text.count("SortMergeJoin") == 4 and text.count("Exchange hashpartitioning(v") == 4 and "Exchange hashpartitioning(src" not in text and text.count("SelectedBucketsCount") == 4
+        assert ends(hybrid_reach(g, dfa("(c|g)(d|e)*"), [10], literal_cap=0)) == [1, 2, 3, 9]
+        assert ends(reverse_reach(g, dfa("(c|g)(d|e)*"), [9], literal_cap=0)) == ends(reverse_reach(g, dfa("(c|g)(d|e)*"), [9])) == [10, 11, 12]
     finally:
         spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
 
