@@ -33,15 +33,15 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .store import forget, written
+from .store import forget, release, written
 from .words import mix, shingle_sets
 
 WORDS, NUM, DEN = 3, 90, 100
-MEMBERS, QUERIES, TOKENS, SHARED, HASHES = 256, 512, 400_000, 5, 3
+MEMBERS, QUERIES, TOKENS, SHARED, HASHES = 1024, 512, 1_000_000, 5, 3
 #: Up to so many groups of more than one class their sizes are broadcast; beyond it they are joined.
 BROADCAST_GROUPS = 200_000
 _CELL_BITS = 22
-_ROWS = 128
+_ROWS, _EXPANDED = 128, 2_000_000
 
 
 def frequent_cells(docs: DataFrame, k: int) -> np.ndarray:
@@ -64,9 +64,9 @@ def frequent_cells(docs: DataFrame, k: int) -> np.ndarray:
         found = np.flatnonzero(total > mean + 2.5 * np.sqrt(mean) + 1)
         yield pa.RecordBatch.from_arrays([pa.array(found, pa.int32()), pa.array(total[found], pa.int64())], ["cell", "n"])
 
-    level = F.least(F.lit(127), F.round(8 * F.log2(F.sum("n"))) / 3).cast("byte")
+    level = F.round(32 * F.log2(F.sum("n"))).cast("short")
     rows = docs.select("text").mapInArrow(count, "cell int, n long").groupBy("cell").agg(level.alias("level")).toArrow()
-    out = np.zeros(cells, np.int8)
+    out = np.zeros(cells, np.int16)
     out[rows["cell"].to_numpy()] = rows["level"].to_numpy()
     return out
 
@@ -136,8 +136,9 @@ class TokenGroup:
     def links(self, queries: list[np.ndarray], num: int, den: int) -> tuple[np.ndarray, np.ndarray]:
         """Query and member indices of all pairs that link."""
         found, m = [], len(self.sizes)
-        for first in range(0, len(queries), 32):
-            part = queries[first : first + 32]
+        step = max(1, min(64, _EXPANDED // (1 + m * max(map(len, queries)))))  # what is expanded at once stays bounded
+        for first in range(0, len(queries), step):
+            part = queries[first : first + step]
             sizes = np.array([len(s) for s in part])
             tokens, of = np.concatenate(part), np.repeat(np.arange(len(part)), sizes)
             at = np.minimum(np.searchsorted(self.union, tokens), len(self.union) - 1)
@@ -231,10 +232,16 @@ def jaccard_classes(docs: DataFrame, k: int = WORDS, num: int = NUM, den: int =
     """doc_id, n_shingles, component_id (smallest doc_id reached over links), n_links (rows that the row itself links with)."""
     features = written(set_features(docs, k, num, den), "sets")
     some = features.filter("n > 0 and doc_id is not null")
-    classes = written(some.groupBy("n", "d1", "d2", "least").agg(F.min("doc_id").alias("rep"), F.count("*").alias("copies"), F.first("prefix").alias("prefix")).withColumnRenamed("d1", "key"), "classes")
-    posted = classes.select(F.explode("prefix").alias("token"), "key", "n")
+    full = written(some.groupBy("n", "d1", "d2", "least").agg(F.min("doc_id").alias("rep"), F.count("*").alias("copies"), F.first("prefix").alias("prefix")).withColumnRenamed("d1", "key"), "classes")
+    rows = written(features.select("doc_id", "n", "d1"), "sizes")
+    forget(features)
+    posted = full.select(F.explode("prefix").alias("token"), "key", "n")
     shared = posted.groupBy("token").agg(F.count("*").alias("df")).filter("df > 1").select("token")
     live = written(posted.join(shared, "token"), "postings")
+    classes = written(full.drop("prefix"), "classes")
+    forget(full)
+    del features, some, full, posted, shared
+    release(docs.sparkSession)
 
     grouped = written(similar_groups(written(live.select("key").distinct().join(classes.select("key", "n", "least"), "key"), "alike")), "groups")
     placed = written(live.join(grouped.select("key", "gid"), "key").select("token", "key", "n", "gid"), "matrix")
@@ -243,25 +250,32 @@ def jaccard_classes(docs: DataFrame, k: int = WORDS, num: int = NUM, den: int =
     needed = lambda n: F.least(F.lit(SHARED), F.ceil(n * F.lit(num) / F.lit(den)))
     pairs = placed.join(matrix, "token").filter((F.col("gid") > F.col("met")) & sizes_fit).groupBy("key", "n", F.col("met").alias("gid")).agg(F.count("*").alias("_shared"), F.min("low").alias("_low"))
     met = written(pairs.filter(F.col("_shared") >= F.least(needed(F.col("n")), needed(F.col("_low")))).select("key", "n", "gid"), "meetings")
+    forget(live, placed)
+    del live, placed, matrix, pairs
+    release(docs.sparkSession)
 
     asked = met.groupBy("gid").agg(F.ceil(F.greatest(F.count("*") / F.lit(QUERIES), F.sum("n") / F.lit(2 * TOKENS))).alias("parts"))
     held = grouped.groupBy("gid").agg(F.count("*").alias("members"))
     parts = held.join(asked, "gid", "left").filter("members > 1 or parts is not null").select("gid", F.coalesce("parts", F.lit(1)).alias("parts"))
     members = grouped.join(parts, "gid").select("gid", F.explode(F.sequence(F.lit(0), F.col("parts").cast("int") - 1)).alias("part"), F.lit(True).alias("own"), "key")
-    queries = met.join(parts, "gid").select("gid", F.pmod(F.xxhash64("key"), "parts").cast("int").alias("part"), F.lit(False).alias("own"), "key")
+    split = written(asked.filter("parts > 1"), "parts")  # a group may meet any number of classes, so they are not dealt by group
+    asking = met.join(F.broadcast(split) if split.count() <= BROADCAST_GROUPS else split, "gid", "left").withColumn("parts", F.coalesce("parts", F.lit(1)))
+    queries = asking.select("gid", F.pmod(F.xxhash64("key"), "parts").cast("int").alias("part"), F.lit(False).alias("own"), "key")
     work = written(members.unionAll(queries), "work")
     wanted = work.select("key").distinct().join(classes.select("key", "rep", "copies"), "key")
     sets = whole_sets(docs, wanted, k)
     ready = work.join(sets, "key").join(classes.select("key", "copies"), "key")
     found = written(group_links(ready, num, den), "found")
-    forget(live, placed, met, work, grouped)
+    forget(met, work, grouped)
+    del met, work, grouped, members, queries, wanted, sets, ready
+    release(docs.sparkSession)
 
     joined = components(found.select(F.col("key").alias("a"), F.col("root").alias("b")))
     linked = found.groupBy("key").agg(F.sum("links").alias("links"))
     reps = classes.select("key", "rep", "copies").join(joined.withColumnRenamed("node", "key"), "key", "left").withColumn("component", F.coalesce("component", "key"))
     lowest = reps.groupBy("component").agg(F.min("rep").alias("component_id"))
     known = reps.join(lowest, "component").join(linked, "key", "left").select(F.col("key").alias("d1"), "component_id", (F.coalesce("links", F.lit(0)) + F.col("copies") - 1).alias("n_links"))
-    out = features.select("doc_id", "n", F.when((F.col("n") > 0) & F.col("doc_id").isNotNull(), F.col("d1")).alias("d1")).join(known, "d1", "left")
+    out = rows.select("doc_id", "n", F.when((F.col("n") > 0) & F.col("doc_id").isNotNull(), F.col("d1")).alias("d1")).join(known, "d1", "left")
     return out.select("doc_id", F.col("n").cast("long").alias("n_shingles"), F.coalesce("component_id", "doc_id").alias("component_id"), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"))
 
 

@@ -1,5 +1,5 @@
 """Tables that cut lineage, as in the rest of the library."""
 
-from ..sources.store import forget, new_path, shared_folder, written
+from ..sources.store import forget, new_path, release, shared_folder, written
 
-__all__ = ["forget", "new_path", "shared_folder", "written"]
+__all__ = ["forget", "new_path", "release", "shared_folder", "written"]
