@@ -12,7 +12,7 @@ A query set is paired with all data in blocks: every (query block, data block) i
 Nothing is broadcast and nothing grows with the data in one task.
 
 Defined results: vectors that are null, hold null or non-finite components, or are empty take no part, neither do rows without id.
-Vectors of another length than the query are no candidates. Equal scores go to the smaller id. Repeated ids are candidates each, but
+Components of 2^20 or more count as non-finite, since scores must fit 64 bits. Vectors of another length than the query are no candidates. Equal scores go to the smaller id. Repeated ids are candidates each, but
 never their own query's. Fewer than k candidates give fewer rows. Empty tables give an empty result. Other columns are ignored.
 """
 
@@ -55,7 +55,7 @@ class ImpactIndex:
         least = np.full(d, np.iinfo(np.int64).max)
         np.minimum.at(least, self.dim, promise)
         base, impact = least.sum(), promise - least[self.dim]
-        order = np.argsort(-impact, kind="stable")
+        order = np.argsort(-impact, kind="stable") if float(impact.max()) * d < 2.0**46 else np.empty(0, int)  # else the sums below could overflow: rescore all
         left = np.append(impact[order], 0)
         met = np.zeros(n, np.int64)  # impact x 2 ** 16 + number of dimensions met
         floor = None

@@ -44,6 +44,13 @@ def test_search_stops_on_proof():
         assert ids.tolist() == want and scores.tolist() == s[want].tolist()
 
 
+def test_large_components(spark):
+    rng = np.random.default_rng(8)
+    rows = [(i, [float(np.float32(x)) for x in rng.normal(0, 30000, 4)]) for i in range(60)]
+    df = spark.createDataFrame([(i, v, 1) for i, v in rows], VEC)
+    assert {tuple(r) for r in top_k.top_k(df, df.filter("vec_id % 50 = 0")).collect()} == brute(rows)
+
+
 def test_few_candidates(spark):
     df = spark.createDataFrame([(0, [1.0], 1), (50, [0.5], 1)], VEC)
     assert sorted(map(tuple, top_k.top_k(df, df).collect())) == [(0, 1, 50, 256 * 128), (50, 1, 0, 256 * 128)]
