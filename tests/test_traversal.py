@@ -6,7 +6,7 @@ from pathloom.functions.automaton import compile_expr, to_nfa
 from pathloom.functions.expr import Alt, Concat, Label, Opt, Plus, Star, parse_pattern
 from pathloom.operators import bitmask, reach
 from pathloom.plans import baselines, evaluate, extensions
-from pathloom.plans.exalg import Algebra, estimate, exalg_reach, product_order, Size
+from pathloom.plans.exalg import Size, estimate, exalg_reach, product_order
 
 from .graphs import CHAIN, DIAMOND, HUB, LOOP, RARE, RING, STEP, TWO, ZIGZAG, dfa, ends, graph, pairs
 
