@@ -58,3 +58,18 @@ def test_repeats_and_degrees_in_streams(spark, tmp_path):
     run = incremental.first_arrivals(s).writeStream.format("memory").queryName("firsts").trigger(availableNow=True).option("checkpointLocation", f"file://{tmp_path}/c").start()
     run.awaitTermination()
     assert spark.table("firsts").count() == 2
+
+
+def test_degrees_as_state(spark, tmp_path):
+    """Distinct ends by source, kept in the state store; repeats change nothing."""
+    for i, rows in enumerate(([("a", 1, 2), ("a", 1, 3), ("a", 2, 3)], [("a", 1, 2), ("a", 2, 4)])):
+        spark.createDataFrame(rows, EDGE).coalesce(1).write.mode("append").parquet(f"file://{tmp_path}/in")
+    spark.conf.set("spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
+    try:
+        found = windows.out_degrees(incremental.edge_stream(spark, f"file://{tmp_path}/in"))
+        rows = {}
+        run = found.writeStream.foreachBatch(lambda df, _: rows.update((r["src"], r["n"]) for r in df.collect())).outputMode("update").option("checkpointLocation", f"file://{tmp_path}/c").trigger(availableNow=True).start()
+        run.awaitTermination()
+        assert rows == {1: 2, 2: 2}
+    finally:
+        spark.conf.unset("spark.sql.streaming.stateStore.providerClass")
