@@ -40,6 +40,8 @@ WORDS, NUM, DEN = 3, 90, 100
 MEMBERS, QUERIES, TOKENS, SHARED, HASHES = 1024, 512, 1_000_000, 5, 3
 #: Up to so many groups of more than one class their sizes are broadcast; beyond it they are joined.
 BROADCAST_GROUPS = 200_000
+#: Up to so many ids or keys a lookup by them is broadcast, so texts stay where they are; beyond it both sides are shuffled.
+BROADCAST_KEYS = 1_000_000
 _CELL_BITS = 22
 _ROWS, _EXPANDED = 128, 2_000_000
 
@@ -104,6 +106,11 @@ def set_features(docs: DataFrame, k: int, num: int, den: int) -> DataFrame:
     return ready.mapInArrow(rows, "doc_id long, n int, d1 long, d2 long, least array<long>, prefix array<long>")
 
 
+def looked_up(keys: DataFrame) -> DataFrame:
+    """A written table of keys, to be broadcast if it is within the bound."""
+    return F.broadcast(keys) if keys.count() <= BROADCAST_KEYS else keys
+
+
 def whole_sets(docs: DataFrame, wanted: DataFrame, k: int) -> DataFrame:
     """key, tokens of the classes in wanted (key, rep)."""
 
@@ -120,7 +127,7 @@ def whole_sets(docs: DataFrame, wanted: DataFrame, k: int) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([pa.array(keys, pa.int64()), pa.ListArray.from_arrays(pa.array(offsets, pa.int32()), flat)], ["key", "tokens"])
 
     texts = docs.select(F.col("doc_id").cast("long").alias("rep"), F.col("text").cast("string").alias("text"))
-    return texts.join(wanted.select("key", "rep"), "rep").select("key", "text").mapInArrow(rows, "key long, tokens array<long>")
+    return texts.join(looked_up(wanted.select("key", "rep")), "rep").select("key", "text").mapInArrow(rows, "key long, tokens array<long>")
 
 
 class TokenGroup:
@@ -235,12 +242,14 @@ def jaccard_classes(docs: DataFrame, k: int = WORDS, num: int = NUM, den: int =
     full = written(some.groupBy("n", "d1", "d2", "least").agg(F.min("doc_id").alias("rep"), F.count("*").alias("copies"), F.first("prefix").alias("prefix")).withColumnRenamed("d1", "key"), "classes")
     rows = written(features.select("doc_id", "n", "d1"), "sizes")
     forget(features)
+    del features, some
+    release(docs.sparkSession)
     posted = full.select(F.explode("prefix").alias("token"), "key", "n")
     shared = posted.groupBy("token").agg(F.count("*").alias("df")).filter("df > 1").select("token")
     live = written(posted.join(shared, "token"), "postings")
     classes = written(full.drop("prefix"), "classes")
     forget(full)
-    del features, some, full, posted, shared
+    del full, posted, shared
     release(docs.sparkSession)
 
     grouped = written(similar_groups(written(live.select("key").distinct().join(classes.select("key", "n", "least"), "key"), "alike")), "groups")
@@ -262,7 +271,7 @@ def jaccard_classes(docs: DataFrame, k: int = WORDS, num: int = NUM, den: int =
     asking = met.join(F.broadcast(split) if split.count() <= BROADCAST_GROUPS else split, "gid", "left").withColumn("parts", F.coalesce("parts", F.lit(1)))
     queries = asking.select("gid", F.pmod(F.xxhash64("key"), "parts").cast("int").alias("part"), F.lit(False).alias("own"), "key")
     work = written(members.unionAll(queries), "work")
-    wanted = work.select("key").distinct().join(classes.select("key", "rep", "copies"), "key")
+    wanted = written(work.select("key").distinct().join(classes.select("key", "rep"), "key"), "wanted")
     sets = whole_sets(docs, wanted, k)
     ready = work.join(sets, "key").join(classes.select("key", "copies"), "key")
     found = written(group_links(ready, num, den), "found")
@@ -282,7 +291,10 @@ def jaccard_classes(docs: DataFrame, k: int = WORDS, num: int = NUM, den: int =
 def one_of_each(docs: DataFrame, k: int = WORDS, num: int = NUM, den: int = DEN) -> DataFrame:
     """docs with one row for each component (that of the smallest doc_id); rows without doc_id or words all stay."""
     columns = docs.columns
-    judged = jaccard_classes(docs, k, num, den).select("doc_id", "n_shingles", "component_id").filter("doc_id = component_id").groupBy("doc_id").agg(F.max("n_shingles").alias("_n_shingles"))
-    kept = docs.filter("doc_id is not null").join(judged, "doc_id")
-    once = kept.filter("_n_shingles > 0").dropDuplicates(["doc_id"])
-    return once.unionByName(kept.filter("_n_shingles = 0")).select(columns).unionByName(docs.filter("doc_id is null"))
+    judged = jaccard_classes(docs, k, num, den).filter("doc_id is not null")
+    by_id = written(judged.groupBy("doc_id").agg(F.max(F.col("doc_id") == F.col("component_id")).alias("_stays"), F.count("*").alias("_rows"), F.max("n_shingles").alias("_n")), "judged")
+    gone = looked_up(by_id.filter("not _stays").select("doc_id"))
+    repeated = looked_up(by_id.filter("_stays and _rows > 1 and _n > 0").select("doc_id"))
+    kept = docs.join(gone, "doc_id", "left_anti")
+    once = kept.join(repeated, "doc_id", "left_semi").dropDuplicates(["doc_id"])
+    return kept.join(repeated, "doc_id", "left_anti").select(columns).unionByName(once.select(columns))
