@@ -54,6 +54,16 @@ def test_lines(spark):
     assert line_dedup.drop_boilerplate(df.limit(0)).count() == 0
 
 
+def test_lines_of_small_hosts(spark):
+    rows = [(10 * n + i, f"http://h{n}.example/{i}", f"<p>all</p><p>{'two' if i < 2 else 'rest'}</p><p>own {n} {i}</p>") for n in range(1, 8) for i in range(n)]
+    pages = {r["page_id"]: r for r in line_dedup.drop_boilerplate(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+    for n in range(1, 8):
+        for i in range(n):
+            line, on = ("two", min(n, 2)) if i < 2 else ("rest", n - 2)
+            want = [x for x, k in (("all", n), (line, on), (f"own {n} {i}", 1)) if not (k > 1 and k > 0.3 * n)]
+            assert pages[10 * n + i]["text"].split("\n") == want and pages[10 * n + i]["n_dropped"] == 3 - len(want), (n, i)
+
+
 def test_lines_by_salts(spark, monkeypatch):
     rows = [(i, "http://a.example/", f"same<br>own {i}") for i in range(40)]
     df = spark.createDataFrame(rows, "page_id long, url string, html string")
