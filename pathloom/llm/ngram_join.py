@@ -32,6 +32,7 @@ import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import IntegerType, LongType, StructField, StructType
 
 from .store import forget, release, written
 from .words import mix, shingle_sets
@@ -228,8 +229,8 @@ def similar_groups(classes: DataFrame) -> DataFrame:
     return out.unionAll(rest.select("key", "n", F.xxhash64(F.lit(HASHES), "key").alias("gid")))
 
 
-def jaccard_classes(docs: DataFrame, k: int = WORDS, num: int = NUM, den: int = DEN) -> DataFrame:
-    """doc_id, n_shingles, component_id (smallest doc_id reached over links), n_links (rows that the row itself links with)."""
+def _judged(docs: DataFrame, k: int, num: int, den: int) -> tuple[DataFrame, DataFrame]:
+    """Rows (doc_id, n, d1) and their classes (d1, rep, component, component_id, n_links); rows of no class have no words or no doc_id."""
     features = written(set_features(docs, k, num, den), "sets")
     some = features.filter("n > 0 and doc_id is not null")
     full = written(some.groupBy("n", "d1", "d2", "least").agg(F.min("doc_id").alias("rep"), F.count("*").alias("copies"), F.first("prefix").alias("prefix")).withColumnRenamed("d1", "key"), "classes")
@@ -274,15 +275,49 @@ def jaccard_classes(docs: DataFrame, k: int = WORDS, num: int = NUM, den: int =
     linked = found.groupBy("key").agg(F.sum("links").alias("links"))
     reps = classes.select("key", "rep", "copies").join(joined.withColumnRenamed("node", "key"), "key", "left").withColumn("component", F.coalesce("component", "key"))
     lowest = reps.groupBy("component").agg(F.min("rep").alias("component_id"))
-    known = reps.join(lowest, "component").join(linked, "key", "left").select(F.col("key").alias("d1"), "component_id", (F.coalesce("links", F.lit(0)) + F.col("copies") - 1).alias("n_links"))
-    out = rows.select("doc_id", "n", F.when((F.col("n") > 0) & F.col("doc_id").isNotNull(), F.col("d1")).alias("d1")).join(known, "d1", "left")
+    known = reps.join(lowest, "component").join(linked, "key", "left").select(F.col("key").alias("d1"), "rep", "component", "component_id", (F.coalesce("links", F.lit(0)) + F.col("copies") - 1).alias("n_links"))
+    return rows, known
+
+
+def jaccard_classes(docs: DataFrame, k: int = WORDS, num: int = NUM, den: int = DEN) -> DataFrame:
+    """doc_id, n_shingles, component_id (smallest doc_id reached over links), n_links (rows that the row itself links with)."""
+    rows, known = _judged(docs, k, num, den)
+    out = rows.select("doc_id", "n", F.when((F.col("n") > 0) & F.col("doc_id").isNotNull(), F.col("d1")).alias("d1")).join(known.drop("rep", "component"), "d1", "left")
     return out.select("doc_id", F.col("n").cast("long").alias("n_shingles"), F.coalesce("component_id", "doc_id").alias("component_id"), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"))
 
 
+def _with_class(docs: DataFrame, k: int) -> DataFrame:
+    """docs with _n and _d1, as in set_features."""
+    at_text = docs.columns.index("text")
+    schema = StructType([*docs.schema.fields, StructField("_n", IntegerType()), StructField("_d1", LongType())])
+
+    def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for at in range(0, batch.num_rows, _ROWS):
+                part = batch.slice(at, _ROWS)
+                sets = shingle_sets(part.column(at_text).to_pylist(), k)
+                n, d1 = zip(*((len(s), digests(s)[0]) for s in sets), strict=True)
+                yield pa.RecordBatch.from_arrays([*part.columns, pa.array(n, pa.int32()), pa.array(d1, pa.int64())], schema.names)
+
+    return docs.mapInArrow(rows, schema)
+
+
 def one_of_each(docs: DataFrame, k: int = WORDS, num: int = NUM, den: int = DEN) -> DataFrame:
-    """docs with one row for each component (that of the smallest doc_id); rows without doc_id or words all stay."""
+    """docs with one row for each component (of the smallest doc_id, and of one class); rows without doc_id or words all stay."""
     columns = docs.columns
-    judged = jaccard_classes(docs, k, num, den).select("doc_id", "n_shingles", "component_id").filter("doc_id = component_id").groupBy("doc_id").agg(F.max("n_shingles").alias("_n_shingles"))
-    kept = docs.filter("doc_id is not null").join(judged, "doc_id")
-    once = kept.filter("_n_shingles > 0").dropDuplicates(["doc_id"])
-    return once.unionByName(kept.filter("_n_shingles = 0")).select(columns).unionByName(docs.filter("doc_id is null"))
+    rows, known = _judged(docs, k, num, den)
+    chosen = known.groupBy("component").agg(F.min(F.struct("rep", "d1")).alias("_first")).select(F.col("_first.rep").alias("doc_id"), F.col("_first.d1").alias("_d1"))
+    chosen = written(chosen, "chosen")
+    of_id = rows.filter("doc_id is not null").groupBy("doc_id").agg(F.min("n").alias("_least"), F.max("n").alias("_n"), (F.min("d1") != F.max("d1")).alias("_several"))
+    ids = written(of_id.join(chosen.select("doc_id").distinct().withColumn("_kept", F.lit(True)), "doc_id", "left").filter("_kept or _least = 0").select("doc_id", "_n", "_several"), "kept")
+    # Copies within a class may differ in case, white space and other columns: the row is chosen by hash, so reruns agree.
+    order = F.xxhash64(*[F.col(c) for c in columns if "map<" not in docs.schema[c].dataType.simpleString()])
+    one = lambda rows, *by: rows.groupBy(*by).agg(F.min_by(F.struct(*columns), order).alias("_row")).select("_row.*")
+    kept = docs.filter("doc_id is not null").join(ids.filter("not _several"), "doc_id")
+    out = one(kept.filter("_n > 0"), "doc_id").unionByName(kept.filter("_n = 0").select(columns)).unionByName(docs.filter("doc_id is null"))
+    several = ids.filter("_several").select("doc_id")
+    n = several.count()
+    if n:  # the id does not tell which of its texts stay: their sets do
+        told = _with_class(docs.join(F.broadcast(several) if n <= BROADCAST_GROUPS else several, "doc_id").select(columns), k)
+        out = out.unionByName(told.filter("_n = 0").select(columns)).unionByName(one(told.filter("_n > 0").join(chosen, ["doc_id", "_d1"]), "doc_id", "_d1"))
+    return out

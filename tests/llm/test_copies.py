@@ -75,6 +75,14 @@ def test_rows_of_one_id_and_other_texts(spark):
     assert got == [(1, 5, 1), (1, 5, 1), (2, 5, 1)]
 
 
+def test_one_of_each_with_several_texts_of_an_id(spark):
+    a, b, c, d, e, f = ("a1 a2 a3 a4 a5", "b1 b2 b3 b4 b5", "c1 c2 c3 c4 c5", "d1 d2 d3 d4 d5", "e1 e2 e3 e4 e5", "f1 f2 f3 f4 f5")
+    rows = [(1, a), (1, b), (2, b), (3, c), (5, c), (5, d), (5, d), (7, ""), (7, e), (7, ""), (8, e), (9, None), (4, f), (4, f.upper()), (4, f + " ")]
+    kept = [sorted(((r["doc_id"], r["text"]) for r in ngram_join.one_of_each(as_docs(spark, x)).collect()), key=repr) for x in (rows, rows[::-1])]
+    assert kept[0] == kept[1] and len(kept[0]) == 9
+    assert [r for r in kept[0] if r[0] != 4] == [(1, a), (1, b), (3, c), (5, d), (7, ""), (7, ""), (7, e), (9, None)]
+
+
 def test_groups_against_all_pairs():
     rng = random.Random(2)
     sets = [np.unique(np.array([rng.randrange(40) for _ in range(30)], np.uint64)) for _ in range(50)]
