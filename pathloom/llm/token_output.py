@@ -4,8 +4,9 @@ Documents are dealt by ranges of doc_id (ascending, null first; equal ids by tex
 (doc_id, ids array<int>). ORC stores the ids of a stripe with its integer run-length encoding, keeps minima and maxima of doc_id for
 each row group and a Bloom filter of doc_id, so readers skip stripes by metadata and read stripes in parallel.
 
-Every text is encoded whole with the tokenizers library (null: as empty); special strings in a text are ordinary text; one end id follows each document.
-A text is cut where the tokenizer cuts too: at spaces, and between letters and ASCII marks. A piece is given to the library once and its
+Every text is encoded whole with the tokenizers library (null: as empty), with its defaults but add_special_tokens=False; one end id follows each document. Texts that hold a
+special string of the tokenizer file, such as its end of text, go to the library whole, which gives the string its own id.
+Any other text is cut where the tokenizer cuts too: at spaces, and between letters and ASCII marks. A piece is given to the library once and its
 ids are then looked up by a 64-bit hash in a table of fixed size; ids of the pieces in a row are the ids of the text (checked in the tests). Repeated rows are documents of their own. Very long texts are
 encoded piece by piece. Empty tables give an empty folder of one file. Other columns of the input are ignored.
 """
@@ -62,10 +63,26 @@ class Encoder:
         self.size = np.zeros(1 << _SLOT_BITS, np.int32)
         self.pool, self.used = np.zeros(_POOL, np.int32), 0
         self.kinds = _kinds()
+        contents = sorted(re.escape(t.content) for t in self.tokenizer.get_added_tokens_decoder().values())
+        self.special = re.compile("|".join(contents), re.IGNORECASE).search if contents else lambda text: None  # more than the library finds does no harm
         self.odd = re.compile(r"[^\x00-\x7F]").search, regex.compile(r"[^\x00-\x7F\p{L}]").search
 
+    def documents(self, texts: list[str], end_id: int) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of all texts in a row, each with the end id, and the number of ids of each text; special strings have their own ids."""
+        whole = [i for i, t in enumerate(texts) if self.special(t)]
+        if not whole:
+            return self.run(texts, end_id)
+        held = set(whole)
+        flat, sizes = self.run(["" if i in held else t for i, t in enumerate(texts)], end_id)
+        parts = np.split(flat, np.cumsum(sizes)[:-1])
+        self.tokenizer.encode_special_tokens = False
+        for i in whole:
+            parts[i] = np.array([*self.tokenizer.encode(texts[i], add_special_tokens=False).ids, end_id], np.int32)
+        self.tokenizer.encode_special_tokens = True
+        return np.concatenate(parts), np.array([len(p) for p in parts], np.int64)
+
     def run(self, texts: list[str], end_id: int) -> tuple[np.ndarray, np.ndarray]:
-        """Ids of all texts in a row, each with the end id, and the number of ids of each text."""
+        """As documents, with special strings as ordinary text."""
         raw = [encoded_text(t, lower=True) for t in texts]
         # Longer characters count as letters in texts that have no other such characters; else nothing is cut beside them.
         plain = np.array([not self.odd[0](t) or not self.odd[1](t) for t in texts], bool)
@@ -159,7 +176,7 @@ def encoded(docs: DataFrame, tokenizer_path: str, end_id: int = END_ID) -> DataF
         for batch in batches:
             for at in range(0, batch.num_rows, _ROWS):
                 part = batch.slice(at, _ROWS)
-                flat, sizes = encoder.run([t or "" for t in part["text"].to_pylist()], end_id)
+                flat, sizes = encoder.documents([t or "" for t in part["text"].to_pylist()], end_id)
                 offsets = pa.array(np.concatenate(([0], np.cumsum(sizes))), pa.int32())
                 yield pa.RecordBatch.from_arrays([part["doc_id"], pa.ListArray.from_arrays(offsets, pa.array(flat))], ["doc_id", "ids"])
 

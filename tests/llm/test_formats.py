@@ -125,6 +125,19 @@ def test_pieces_give_the_ids_of_whole_texts():
     assert encoder.run(TEXTS, 2)[0].tolist() == flat.tolist()  # what is remembered is dropped when full
 
 
+def test_special_strings_have_their_own_ids(spark):
+    plain = Tokenizer.from_file(tokenizer_path())
+    texts = [*TEXTS, "a <|endoftext|> b", "<|endoftext|>", "x<|startoftext|>Y's<|endoftext|><|endoftext|>", "<|EndOfText|> a", "a <| endoftext |>", "é <|endoftext|>\n日本", "<|endoftext|" + "> w" * 3000]
+    want = [[*plain.encode(t, add_special_tokens=False).ids, 2] for t in texts]
+    assert want[len(TEXTS)] == [320, 49407, 321, 2]
+    encoder = token_output.Encoder(tokenizer_path())
+    for _ in range(2):
+        flat, sizes = encoder.documents(texts, 2)
+        assert flat.tolist() == [i for w in want for i in w] and sizes.tolist() == [len(w) for w in want]
+    rows = docs(spark, [(i, t, "en", "s", 0, 0.0, 0) for i, t in enumerate(texts)])
+    assert {r["doc_id"]: r["ids"] for r in token_output.encoded(rows, tokenizer_path()).collect()} == dict(enumerate(want))
+
+
 def test_token_files(spark, tmp_path):
     path = token_output.write_tokens(docs(spark).repartition(5), f"file://{tmp_path}/t", tokenizer_path())
     plain = Tokenizer.from_file(tokenizer_path())
