@@ -5,7 +5,7 @@ fingerprint is the 128-bit SimHash of its 5-word shingles, weighted by their rar
 12 bit blocks: if two fingerprints differ in at most RADIUS bits, some block differs in at most RADIUS // 12 bits, and the index lists each
 item under all block values so near. It so returns every item within the radius. Candidates of the window's size are then
 compared exactly: weighted shingle multisets, sum of minima / sum of maxima >= 0.8. RADIUS is four deviations over the mean
-distance at that similarity.
+distance at that similarity. A document of fewer words than the item is its one window, and goes to the exact comparison at once.
 
 Only windows that share a shingle with an item are formed: others have similarity 0 with all. Documents are read once, where they are; the
 benchmark goes to the tasks in blocks of at most ITEMS items, one pass for each block, so what is sent never outgrows a bound.
@@ -100,6 +100,7 @@ class Benchmark:
         self.filter = np.zeros(1 << _FILTER_BITS, bool)
         self.filter[(self.known >> np.uint64(64 - _FILTER_BITS)).astype(np.int64)] = True
         self.lengths = sorted({min(K, int(n)) for n in self.sizes})
+        self.totals = np.array([self.weights(s).sum() for s in self.shingles])
         self.index = HammingIndex(np.concatenate([packed((signs(s) * self.weights(s)[:, None]).sum(0)[None]) for s in self.shingles])) if self.ids else None
 
     def weights(self, shingles: np.ndarray) -> np.ndarray:
@@ -129,6 +130,12 @@ class Benchmark:
         at = np.searchsorted(self.known, shingles[hits])
         begin, end = np.searchsorted(self.held[0], at), np.searchsorted(self.held[0], at, "right")
         items = np.unique(np.concatenate([self.held[1][a:b] for a, b in zip(begin.tolist(), end.tolist(), strict=True)]))
+        # A document shorter than an item is its own one window. Its weight bounds the overlap; what can reach the similarity is compared exactly.
+        longer = items[self.sizes[items] > len(words)]
+        for item in longer[self.weights(shingles).sum() >= self.similarity * self.totals[longer] - 1e-6].tolist() if len(longer) else ():
+            value = self.alike(shingles, item)
+            if value >= self.similarity - 1e-9:
+                best[item] = (value, 0)
         for size in np.unique(self.sizes[items]).tolist():
             if len(words) < size or min(K, size) != k:
                 continue

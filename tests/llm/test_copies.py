@@ -145,6 +145,24 @@ def test_leaks_against_all_windows(spark):
     assert sorted(r["doc_id"] for r in clean.collect()) == sorted({d for d, _ in texts} - {d for d, _ in want})
 
 
+def test_documents_shorter_than_the_item():
+    rng = random.Random(8)
+    items = [(i, prose(rng, n)) for i, n in enumerate((59, 30, 12, 6, 5, 59))]
+    short = [(i, " ".join(x.split(" ")[a : len(x.split(" ")) - b])) for i, x in items for a in range(6) for b in range(12)] + [(9, "")]
+    found = [{} for _ in short]
+    for at, best in decontaminate.Benchmark(items).search([t for _, t in short]):
+        found[at] = {item: value for item, (value, start) in best.items()}
+    grams = lambda t: Counter(tuple(t.split()[i : i + 5]) for i in range(len(t.split()) - 4))
+    for (_, t), got in zip(short, found, strict=True):
+        want = {}
+        for item, x in items:
+            both, either = grams(t) & grams(x), grams(t) | grams(x)
+            if either and sum(both.values()) / sum(either.values()) >= 0.8:
+                want[item] = sum(both.values()) / sum(either.values())
+        assert set(got) == set(want) and all(abs(got[i] - want[i]) < 1e-9 for i in want), t
+    assert found[4] and 0.92 < found[4][0] < 0.93  # the first 55 of 59 words
+
+
 def test_blocks_of_items(spark, monkeypatch):
     rng = random.Random(6)
     items = [(i, prose(rng, 20), 0) for i in range(30)]
