@@ -51,10 +51,25 @@ def test_classes_against_all_pairs(spark, monkeypatch, k, num, seed):
     want = brute_classes(rows, k, num)
     assert got == want
     assert sum(c != i for i, (_, c, _) in want.items()) > 20
+    plain = ngram_join.jaccard_classes(as_docs(spark, rows), k, num, count_links=False)
+    assert plain.columns == ["doc_id", "n_shingles", "component_id"] and {r["doc_id"]: r["component_id"] for r in plain.collect()} == {i: c for i, (_, c, _) in want.items()}
     kept = ngram_join.one_of_each(as_docs(spark, rows), k, num)
     assert sorted(r["doc_id"] for r in kept.collect()) == sorted(i for i, (_, c, _) in want.items() if i == c) and kept.columns == as_docs(spark, rows).columns
 
 
+@pytest.mark.parametrize(("size", "edits", "k", "num"), [(60, 3, 5, 80), (25, 2, 3, 90), (150, 12, 5, 80)])
+def test_one_large_family(spark, monkeypatch, size, edits, k, num):
+    monkeypatch.setattr(ngram_join, "MEMBERS", 8)
+    monkeypatch.setattr(ngram_join, "QUERIES", 8)
+    monkeypatch.setattr(ngram_join, "PIVOTS", 3)
+    rng = random.Random(size)
+    base = prose(rng, size)
+    rows = [(i, edited(rng, base, rng.randrange(edits + 1))) for i in range(150)] + [(1000 + i, t) for i, t in corpus(size, 2, 3, 5)]
+    want = brute_classes(rows, k, num)
+    assert {r["doc_id"]: tuple(r)[1:] for r in ngram_join.jaccard_classes(as_docs(spark, rows), k, num).collect()} == want
+    assert {r["doc_id"]: r["component_id"] for r in ngram_join.jaccard_classes(as_docs(spark, rows), k, num, count_links=False).collect()} == {i: c for i, (_, c, _) in want.items()}
+
+
 def test_odd_rows(spark):
     d = docs(spark)
     got = ngram_join.jaccard_classes(d).collect()
