@@ -5,13 +5,13 @@ from __future__ import annotations
 from collections import defaultdict
 from functools import reduce
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.automaton import Automaton
 from ..sources.graph import LabeledGraph
-from ..sources.store import written
-from .levels import KNOWN_CAP, LITERAL_CAP, Plan
+from ..sources.store import forget, written
+from .levels import BROADCAST_ROWS, KNOWN_CAP, LITERAL_CAP, Plan
 from .reach import traverse
 
 STATES, SEEDS = 63, 63
@@ -73,35 +73,61 @@ def bitmask_reach(graph: LabeledGraph, automaton: Automaton, seeds, literal_cap:
         first = plan.rows(first)
     bit = F.expr("shiftleft(1L, q)")
     new = written(first.groupBy("seed", "v").agg(F.bit_or(bit).alias("mask")), "masks")
-    known = new
-    while plan.steps and not new.isEmpty():
-        moved = new.select("seed", "v", F.inline(_moved(plan)))
+    known, tables, n = new, [], new.count()
+    while plan.steps and n:
+        sent = F.broadcast if n <= BROADCAST_ROWS else lambda df: df
+        moved = sent(new.select("seed", "v", F.inline(_moved(plan))))
         parts = [moved.join(e.withColumnRenamed("src", "v"), ["v", "label", "inv"]).select("seed", F.col("dst").alias("v"), "mask") for e in plan.edge_tables()]
         found = reduce(DataFrame.unionAll, parts).groupBy("seed", "v").agg(F.bit_or("mask").alias("found"))
         both = written(known.join(found, ["seed", "v"], "full_outer").select("seed", "v", F.coalesce("mask", F.lit(0)).alias("old"), F.coalesce("found", F.lit(0)).alias("found")), "masks")
         known = both.select("seed", "v", F.col("old").bitwiseOR(F.col("found")).alias("mask"))
         new = both.select("seed", "v", F.col("found").bitwiseAND(F.bitwise_not("old")).alias("mask")).filter("mask <> 0")
+        n = new.count()
+        forget(*tables)
+        tables = [both]
     return known.filter(F.col("mask").bitwiseAND(F.lit(final)) != 0).select("seed", "v")
 
 
+def numbered_blocks(seeds: DataFrame) -> DataFrame:
+    """seed, block, bit: the distinct seeds, numbered on from range to range, so no task sees all of them and every block but the last is full."""
+    ready = seeds.select(F.col(seeds.columns[0]).cast("long").alias("seed")).filter("seed is not null").distinct()
+    parted = written(ready.withColumn("_part", F.spark_partition_id()), "seeds")
+    sizes = parted.groupBy("_part").agg(F.count("*").alias("_n"))
+    before = Window.partitionBy(F.lit(0)).orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)
+    offsets = sizes.select("_part", F.coalesce(F.sum("_n").over(before), F.lit(0)).alias("_before"))
+    place = F.col("_before") + F.row_number().over(Window.partitionBy("_part").orderBy("seed")) - 1
+    placed = parted.join(F.broadcast(offsets), "_part").select("seed", place.alias("_at"))
+    return placed.select("seed", F.floor(F.col("_at") / SEEDS).alias("block"), (F.col("_at") % SEEDS).cast("int").alias("bit"))
+
+
 def seed_blocks_reach(graph: LabeledGraph, automaton: Automaton, seeds: DataFrame) -> DataFrame:
-    """seed, v for many seeds: blocks of up to 63 seeds share rows (block, q, v), with one bit for each seed."""
-    from pyspark.sql import Window
+    """seed, v for many seeds: blocks of up to 63 seeds share rows (block, q, v), with one bit for each seed.
 
+    A level extends only the bits that were new in the last one, as the frontier method does for each seed.
+    """
     plan = Plan(graph, automaton)
-    numbered = seeds.select(F.col(seeds.columns[0]).cast("long").alias("seed")).filter("seed is not null").distinct()
-    slots = F.row_number().over(Window.partitionBy("_part").orderBy("seed")) - 1
-    numbered = numbered.withColumn("_part", F.spark_partition_id())
-    placed = written(numbered, "seeds").withColumn("_at", slots).select("seed", (F.col("_part").cast("long") * F.lit(1 << 32) + F.floor(F.col("_at") / SEEDS)).alias("block"), (F.col("_at") % SEEDS).cast("int").alias("bit"))
-    placed = written(placed, "seeds")
+    placed = written(numbered_blocks(seeds), "seeds")
     states = F.array(*map(F.lit, sorted(automaton.starts))).cast("array<int>")
-    new = written(placed.select("block", F.explode(states).alias("q"), F.col("seed").alias("v"), F.expr("shiftleft(1L, bit)").alias("mask")), "seeds")
-    known, delta = new, plan.delta_df()
-    while plan.steps and not new.isEmpty():
-        parts = [new.join(delta, "q").join(e.withColumnRenamed("src", "v"), ["v", "label", "inv"]).select("block", F.col("q2").alias("q"), F.col("dst").alias("v"), "mask") for e in plan.edge_tables()]
-        found = reduce(DataFrame.unionAll, parts).groupBy("block", "q", "v").agg(F.bit_or("mask").alias("found"))
-        both = written(known.join(found, ["block", "q", "v"], "full_outer").select("block", "q", "v", F.coalesce("mask", F.lit(0)).alias("old"), F.coalesce("found", F.lit(0)).alias("found")), "seeds")
-        known = both.select("block", "q", "v", F.col("old").bitwiseOR(F.col("found")).alias("mask"))
-        new = both.select("block", "q", "v", F.col("found").bitwiseAND(F.bitwise_not("old")).alias("mask")).filter("mask <> 0")
+    keys = ["block", "q", "v"]
+    new = written(placed.select("block", F.explode(states).alias("q"), F.col("seed").alias("v"), F.expr("shiftleft(1L, bit)").alias("mask")), "blocks")
+    known, tables, delta, n = new, [], plan.delta_df(), new.count()
+    while plan.steps and n:
+        sent = F.broadcast if n <= BROADCAST_ROWS else lambda df: df
+        ready = sent(new.join(delta, "q").select("block", "q2", "label", "inv", "v", "mask"))
+        parts = [ready.join(e.withColumnRenamed("src", "v"), ["v", "label", "inv"]).select("block", F.col("q2").alias("q"), F.col("dst").alias("v"), "mask") for e in plan.edge_tables()]
+        found = reduce(DataFrame.unionAll, parts).groupBy(keys).agg(F.bit_or("mask").alias("found"))
+        both = written(known.join(found, keys, "full_outer").select(*keys, F.coalesce("mask", F.lit(0)).alias("old"), F.coalesce("found", F.lit(0)).alias("found")), "blocks")
+        known = both.select(*keys, F.col("old").bitwiseOR(F.col("found")).alias("mask"))
+        new = both.select(*keys, F.col("found").bitwiseAND(F.bitwise_not("old")).alias("mask")).filter("mask <> 0")
+        n = new.count()
+        forget(*tables)
+        tables = [both]
     done = known.filter(F.col("q").isin(sorted(automaton.finals))).groupBy("block", "v").agg(F.bit_or("mask").alias("mask"))
     return done.join(placed, "block").filter(F.expr("shiftright(mask, bit) & 1 = 1")).select("seed", "v")
+
+
+def batch_reach(graph: LabeledGraph, automaton: Automaton, seeds: DataFrame, method: str = "hybrid", **how) -> DataFrame:
+    """seed, v for a table of seeds: blocks of seeds if there are more than one block's, else a traversal by the given method."""
+    if len(seeds.select(seeds.columns[0]).distinct().limit(SEEDS + 1).collect()) > SEEDS:
+        return seed_blocks_reach(graph, automaton, seeds)
+    return traverse(graph, automaton, seeds, method, **how).answers()

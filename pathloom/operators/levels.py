@@ -7,8 +7,9 @@ partition and row group statistics prune. Beyond it a level is a join plan, and
 from __future__ import annotations
 
 from collections import defaultdict
-from collections.abc import Iterable, Iterator
+from collections.abc import Iterable, Iterator, Sequence
 from dataclasses import dataclass, field
+from functools import reduce
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -21,6 +22,10 @@ TRIPLE = "seed long, q int, v long"
 KEYS = ["seed", "q", "v"]
 #: Bounds of the literal regime: vertices in a frontier, rows known, rows fetched in one level.
 LITERAL_CAP, KNOWN_CAP, FETCH_CAP = 1000, 50_000, 50_000
+#: A frontier of at most so many rows is broadcast to the edges, which are then not shuffled, however many of them one vertex has.
+BROADCAST_ROWS = 200_000
+#: Written tables of known pairs before older ones are merged.
+MOST_PIECES = 8
 
 
 @dataclass
@@ -98,23 +103,25 @@ class Plan:
                     return None
         return out
 
-    def step(self, frontier: DataFrame) -> DataFrame:
-        """Distinct successors of a table (seed, q, v). The sum over labels comes before the one duplicate removal."""
+    def step(self, frontier: DataFrame, size: int | None = None) -> DataFrame:
+        """Distinct successors of a table (seed, q, v) of the given size. The sum over labels comes before the one duplicate removal."""
         out = None
-        for found in self.moved_by_step(frontier) if hasattr(self.graph, "step_tables") else self.moved(frontier):
+        small = size is not None and size <= BROADCAST_ROWS
+        for found in self.moved_by_step(frontier) if hasattr(self.graph, "step_tables") and not small else self.moved(frontier, small):
             out = found if out is None else out.unionAll(found)
         if out is None:
             return self.rows([])
         return out.distinct()
 
-    def moved(self, frontier: DataFrame) -> Iterator[DataFrame]:
+    def moved(self, frontier: DataFrame, small: bool = False) -> Iterator[DataFrame]:
         delta = self.delta_df()
+        sent = F.broadcast if small else lambda df: df
         for edges in self.edge_tables():
             edges = edges.withColumnRenamed("src", "v")
             if self.order == "automaton_first":
-                found = frontier.join(delta, "q").select("seed", "q2", "label", "inv", "v").join(edges, ["v", "label", "inv"])
+                found = sent(frontier.join(delta, "q").select("seed", "q2", "label", "inv", "v")).join(edges, ["v", "label", "inv"])
             elif self.order == "graph_first":
-                found = frontier.join(edges, "v").select("seed", "q", "label", "inv", "dst").join(delta, ["q", "label", "inv"])
+                found = sent(frontier).join(edges, "v").select("seed", "q", "label", "inv", "dst").join(delta, ["q", "label", "inv"])
             else:
                 raise ValueError(self.order)
             yield found.select("seed", F.col("q2").alias("q"), F.col("dst").alias("v"))
@@ -142,13 +149,59 @@ class Plan:
         return seeds.select("seed", F.explode(states).alias("q"), F.col("seed").alias("v"))
 
 
+class Seen:
+    """Rows that a loop has found: written tables of which the newest is what the next level extends.
+
+    A level compares its rows with all of them in one join. Older tables are merged as they grow in number, by sizes, so a row is rewritten
+    a logarithmic number of times; tables that were merged are deleted unless they are kept for the loop's result. The newest never is.
+    """
+
+    def __init__(self, keys: Sequence[str] = KEYS, keep: bool = False):
+        self.keys, self.keep = list(keys), keep
+        self.size = 0
+        self._pieces: list[tuple[DataFrame, int, bool]] = []  # table, rows, whether the loop gave it
+
+    def add(self, piece: DataFrame, count: int | None = None) -> int:
+        """Take in rows that are not in the tables yet; their number."""
+        count = piece.count() if count is None else count
+        if count:
+            self._pieces.append((piece, count, True))
+            self.size += count
+            if len(self._pieces) > MOST_PIECES:
+                self._merge()
+        return count
+
+    def _merge(self) -> None:
+        newest = self._pieces.pop()
+        take, total = 1, self._pieces[-1][1]
+        while take < len(self._pieces) and (take < MOST_PIECES // 2 or self._pieces[-take - 1][1] <= 2 * total):
+            take += 1
+            total += self._pieces[-take][1]
+        old, self._pieces = self._pieces[-take:], self._pieces[:-take]
+        merged = written(reduce(DataFrame.unionAll, (t.select(self.keys) for t, _, _ in old)), "known")
+        forget(*(t for t, _, given in old if not (given and self.keep) and t.inputFiles()))
+        self._pieces += [(merged, total, False), newest]
+
+    def df(self) -> DataFrame:
+        return reduce(DataFrame.unionAll, (t.select(self.keys) for t, _, _ in self._pieces))
+
+    def without(self, found: DataFrame) -> DataFrame:
+        """The rows of found that are new."""
+        return found.join(self.df(), self.keys, "left_anti") if self._pieces else found
+
+    def new(self, found: DataFrame, name: str) -> tuple[DataFrame, int]:
+        """The rows of found that are new, written and taken in, and their number."""
+        piece = written(self.without(found), name)
+        return piece, self.add(piece)
+
+
 class Known:
-    """Pairs found so far: driver rows, or written tables that are appended to and merged when there are many."""
+    """Pairs found so far: driver rows, or written tables."""
 
-    def __init__(self, plan: Plan, first):
+    def __init__(self, plan: Plan, first, keep: bool = False):
         self.plan, self.size = plan, 0
         self.rows: set | None = set() if isinstance(first, set) else None
-        self.pieces: list[DataFrame] = []
+        self.tables = Seen(keep=keep)
         self.add(first)
 
     def add(self, new, count: int | None = None) -> None:
@@ -156,27 +209,18 @@ class Known:
             self.rows |= new
             self.size = len(self.rows)
         else:
-            self.pieces.append(new)
-            self.size += new.count() if count is None else count
-            if len(self.pieces) > 8:
-                merged = written(self.df(), "known")
-                forget(*(p for p in self.pieces if p.inputFiles()))
-                self.pieces = [merged]
+            self.size += self.tables.add(new, count)
 
     def spread(self) -> None:
         """Leave the literal regime."""
         if self.rows is not None:
-            self.pieces, self.rows = [written(self.plan.rows(self.rows), "known")], None
+            self.tables.add(written(self.plan.rows(self.rows), "known"), len(self.rows))
+            self.rows = None
 
     def without(self, found: DataFrame) -> DataFrame:
-        for p in self.pieces:
-            found = found.join(p, KEYS, "left_anti")
-        return found
+        return self.tables.without(found)
 
     def df(self) -> DataFrame:
         if self.rows is not None:
             return self.plan.rows(self.rows)
-        out = self.pieces[0]
-        for p in self.pieces[1:]:
-            out = out.unionByName(p)
-        return out
+        return self.tables.df() if self.size else self.plan.rows([])

@@ -56,10 +56,10 @@ def traverse(
     plan = Plan(graph, automaton, order, literal_cap)
     first = plan.start(seeds)
     first = first if isinstance(first, set) else written(first, "frontier")
-    known = Known(plan, first)
+    known = Known(plan, first, keep_levels)
+    new, n_new = first, known.size
     if not seed_visited:
-        known = Known(plan, set() if isinstance(first, set) else first.filter("false"))
-    new, n_new = first, len(first) if isinstance(first, set) else known.size or first.count()
+        known = Known(plan, set() if isinstance(first, set) else first.filter("false"), keep_levels)
     levels = [(0, first)] if keep_levels else None
     level = 0
     while n_new and (max_levels is None or level < max_levels):
@@ -74,9 +74,9 @@ def traverse(
             regime = "literal"
         else:
             if known.rows is not None:
-                source = plan.rows(source) if isinstance(source, set) else source
+                source = plan.rows(source)
                 known.spread()
-            new = written(known.without(plan.step(source)), "frontier")
+            new = written(known.without(plan.step(source, size)), "frontier")
             n_new = new.count()
             known.add(new, n_new)
             regime = "join"

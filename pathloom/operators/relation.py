@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..sources.store import forget, written
+from .levels import Seen
 
 PAIR = "row long, col long"
 
@@ -90,26 +91,13 @@ def closure(a: DataFrame, reflexive: DataFrame | None = None, method: str = "sem
             known, before, n = more, n, more.count()
             if n == before:
                 break
-        pieces = [known]
     elif method == "semi_naive":
-        new = written(base if start is None else rows_of(base, start), "closure")
-        pieces = [new]
-        while not new.isEmpty():
-            more = compose(new, base)
-            for p in pieces:
-                more = mask_not(more, p)
-            new = written(more, "closure")
-            pieces.append(new)
-            if len(pieces) > 8:
-                whole = pieces[0]
-                for p in pieces[1:]:
-                    whole = whole.unionByName(p)
-                merged = written(whole, "closure")
-                forget(*pieces[:-1])
-                pieces = [merged]
+        found = Seen(["row", "col"])
+        new, n = found.new(base if start is None else rows_of(base, start), "closure")
+        known = new
+        while n:
+            new, n = found.new(compose(new, base), "closure")
+        known = found.df() if found.size else known
     else:
         raise ValueError(method)
-    out = pieces[0]
-    for p in pieces[1:]:
-        out = out.unionByName(p)
-    return out if reflexive is None else union(out, identity(reflexive))
+    return known if reflexive is None else union(known, identity(reflexive))

@@ -12,12 +12,19 @@ from pyspark.sql import functions as F
 from ..functions.automaton import Automaton
 from ..functions.cypher import NotExpressible, hop, is_cypher_expressible
 from ..functions.expr import Alt, Concat, Empty, Expr, Label, Opt, Plus, Star
-from ..operators.levels import KEYS, TRIPLE
+from ..operators.levels import Seen
 from ..sources.graph import LabeledGraph
 from ..sources.store import written
 
 
-def indexed_reach(graph: LabeledGraph, automaton: Automaton, seeds: Iterable[int], labels: Iterable[str] | None = None) -> DataFrame:
+def _seeded(spark: SparkSession, seeds: Iterable[int] | DataFrame) -> DataFrame:
+    """seed of a list of numbers or of a table with one column."""
+    if isinstance(seeds, DataFrame):
+        return seeds.select(F.col(seeds.columns[0]).cast("long").alias("seed")).filter("seed is not null").distinct()
+    return spark.createDataFrame([(int(s),) for s in dict.fromkeys(seeds)], "seed long")
+
+
+def indexed_reach(graph: LabeledGraph, automaton: Automaton, seeds: Iterable[int] | DataFrame, labels: Iterable[str] | None = None) -> DataFrame:
     """seed, v. One copy of all edges for each direction, found by vertex alone; labels are compared after the join with the edges."""
     spark, copies = graph.spark, graph.__dict__.setdefault("_by_vertex", {})
     name = None if labels is None else tuple(sorted(labels))
@@ -27,18 +34,17 @@ def indexed_reach(graph: LabeledGraph, automaton: Automaton, seeds: Iterable[int
         copies[name] = written(both.repartitionByRange("v").sortWithinPartitions("v"), "by-vertex")
     both = copies[name]
     delta = F.broadcast(automaton.to_df(spark))
-    new = written(spark.createDataFrame([(s, q, s) for s in seeds for q in automaton.starts], TRIPLE), "indexed")
-    pieces = [new]
-    while not new.isEmpty():
+    states = F.array(*map(F.lit, sorted(automaton.starts))).cast("array<int>")
+    start = _seeded(spark, seeds).select("seed", F.explode(states).alias("q"), F.col("seed").alias("v"))
+    known = Seen()
+    new, n = known.new(start, "indexed")
+    while n:
         found = new.join(both, "v").join(delta, ["q", "label", "inv"]).select("seed", F.col("q2").alias("q"), F.col("dst").alias("v")).distinct()
-        for p in pieces:
-            found = found.join(p, KEYS, "left_anti")
-        new = written(found, "indexed")
-        pieces.append(new)
-    return reduce(DataFrame.unionByName, pieces).filter(F.col("q").isin(sorted(automaton.finals))).select("seed", "v").distinct()
+        new, n = known.new(found, "indexed")
+    return (known.df() if known.size else new).filter(F.col("q").isin(sorted(automaton.finals))).select("seed", "v").distinct()
 
 
-def subset_reach(graph: LabeledGraph, expr: Expr, seeds: Iterable[int]) -> DataFrame:
+def subset_reach(graph: LabeledGraph, expr: Expr, seeds: Iterable[int] | DataFrame) -> DataFrame:
     """seed, v by a chain of single hops and repeated hops; NotExpressible for what the pattern language lacks."""
     if not is_cypher_expressible(expr):
         raise NotExpressible(str(expr))
@@ -59,22 +65,20 @@ def subset_reach(graph: LabeledGraph, expr: Expr, seeds: Iterable[int]) -> DataF
             return reduce(DataFrame.unionByName, (run(p, rows) for p in e.parts)).distinct()
         if isinstance(e, Opt):
             return rows.unionByName(one(rows, *simple)).distinct()
-        new = written(one(rows, *simple), "hops")
-        pieces = [new]
-        while not new.isEmpty():
-            found = one(new, *simple)
-            for p in pieces:
-                found = found.join(p, ["seed", "v"], "left_anti")
-            new = written(found, "hops")
-            pieces.append(new)
-        out = reduce(DataFrame.unionByName, pieces)
+        known = Seen(["seed", "v"])
+        new, n = known.new(one(rows, *simple), "hops")
+        first = new
+        while n:
+            new, n = known.new(one(new, *simple), "hops")
+        out = known.df() if known.size else first
         return out.unionByName(rows).distinct() if isinstance(e, Star) else out
 
-    return run(expr, graph.spark.createDataFrame([(s, s) for s in seeds], "seed long, v long"))
+    return run(expr, _seeded(graph.spark, seeds).select("seed", F.col("seed").alias("v")))
 
 
-def recursive_sql(automaton: Automaton, seed: int, levels: int, rows: int, edges: str = "hop") -> str:
-    """A recursive query over a view (label, inv, src, dst). Spark's recursion keeps duplicates, so the depth must be bounded."""
+def recursive_sql(automaton: Automaton, seed: int, levels: int, edges: str = "hop") -> str:
+    """A recursive query over a view (label, inv, src, dst). Spark's recursion keeps duplicates, so the depth is a part of the query: walks of
+    more steps are not its answers. It may raise over Spark's limit of rows in a recursion, but never cuts answers short."""
     rules = ", ".join(f"({q}, '{label}', {inv}, {q2})" for q, label, inv, q2 in automaton.rows()) or "(0, '', 0, 0)"
     starts = ", ".join(f"({q})" for q in sorted(automaton.starts))
     finals = ", ".join(map(str, sorted(automaton.finals))) or "-1"
@@ -86,14 +90,14 @@ def recursive_sql(automaton: Automaton, seed: int, levels: int, rows: int, edges
             UNION ALL
             SELECT rule.q2, e.dst, depth + 1 FROM walk JOIN rule ON rule.q = walk.q JOIN {edges} e ON e.label = rule.label AND e.inv = rule.inv AND e.src = walk.v
             WHERE depth < {levels})
-        SELECT DISTINCT v FROM walk WHERE q IN ({finals}) LIMIT {rows}"""
+        SELECT DISTINCT v FROM walk WHERE q IN ({finals})"""
 
 
-def recursive_sql_reach(spark: SparkSession, graph: LabeledGraph, automaton: Automaton, seed: int, max_levels: int, max_rows: int = 1_000_000) -> DataFrame:
+def recursive_sql_reach(spark: SparkSession, graph: LabeledGraph, automaton: Automaton, seed: int, max_levels: int) -> DataFrame:
     """v by recursive SQL up to max_levels steps; for acyclic or short queries, since walks are not merged."""
     view = f"hop_{abs(hash((seed, max_levels, automaton)))}"
     graph.hops(automaton.steps).createOrReplaceTempView(view)
-    return spark.sql(recursive_sql(automaton, seed, max_levels, max_rows, view))
+    return spark.sql(recursive_sql(automaton, seed, max_levels, view))
 
 
 def brute_reach(edges: Iterable[tuple[str, int, int]], automaton: Automaton, seed: int) -> set[int]:

@@ -16,6 +16,7 @@ from ..functions.automaton import compile_expr
 from ..functions.expr import Expr, ParseError, parse_pattern
 from ..operators.reach import THRESHOLD, traverse
 from ..sources.graph import LabeledGraph
+from ..sources.store import scratch
 
 
 @dataclass(frozen=True)
@@ -113,21 +114,40 @@ class Outcome:
 
 
 def run_with_limit(spark: SparkSession, work: Callable[[], DataFrame], seconds: float = 60, name: str = "query") -> Outcome:
-    """Count the answers of work in a job group of its own, which is cancelled at the limit."""
+    """Compute all columns of all answers of work in a job group of its own, and count them.
+
+    From the limit on every job of the group is cancelled, those that start later too, so a run between two jobs ends at its next one. A run
+    that takes longer than the limit is a timeout however it ends. Tables written on the way are deleted.
+    """
     import threading
+    import uuid
+
+    group, done = f"{name}-{uuid.uuid4().hex}", threading.Event()
+
+    def guard() -> None:
+        if not done.wait(seconds):
+            while not done.wait(0.05):
+                spark.sparkContext.cancelJobGroup(group)
 
-    timer = threading.Timer(seconds, spark.sparkContext.cancelJobGroup, [name])
     began, status, n = time.perf_counter(), "ok", None
-    spark.sparkContext.setJobGroup(name, name, True)
-    timer.start()
+    spark.sparkContext.setJobGroup(group, name, True)
+    watch = threading.Thread(target=guard, daemon=True)
+    watch.start()
     try:
-        n = work().count()
+        with scratch(spark):
+            found = work()
+            n = found.agg(F.count("*"), F.bit_xor(F.xxhash64(*found.columns))).first()[0]
     except Exception:
-        status = "timeout" if time.perf_counter() - began >= seconds else "error"
+        status = "error"
     finally:
-        timer.cancel()
+        done.set()
+        watch.join()
         spark.sparkContext.setLocalProperty("spark.jobGroup.id", None)
-    return Outcome(status, (time.perf_counter() - began) * 1000, n)
+        spark.sparkContext.setLocalProperty("spark.job.interruptOnCancel", None)
+    took = time.perf_counter() - began
+    if took >= seconds:
+        status, n = "timeout", None
+    return Outcome(status, took * 1000, n)
 
 
 def time_methods(spark: SparkSession, runs: dict[str, Callable[[], DataFrame]], seconds: float = 60, warm: int = 1, times: int = 3) -> dict[str, Outcome]:
@@ -141,6 +161,19 @@ def time_methods(spark: SparkSession, runs: dict[str, Callable[[], DataFrame]],
     return out
 
 
+def timings(spark: SparkSession, runs: Iterable[tuple[str, str, str, Callable[[], DataFrame]]], seconds: float = 60, warm: int = 0) -> DataFrame:
+    """system, query, grp, ms, status (as in measures.TIMING) of runs (system, query, group, work), one after the other, each after warm runs."""
+    from .measures import TIMING
+
+    rows = []
+    for system, query, grp, work in runs:
+        for _ in range(warm):
+            run_with_limit(spark, work, seconds, query)
+        found = run_with_limit(spark, work, seconds, query)
+        rows.append((system, query, grp, found.ms, found.status))
+    return spark.createDataFrame(rows, TIMING)
+
+
 def clean_workload(graph: LabeledGraph, queries: Iterable[tuple[str, str, int | None, int | None]]) -> DataFrame:
     """name, kept, reason for queries (name, expression, source, target): those without a fixed end, with an unknown end vertex, or of which no label is in the graph, go."""
     rows = [(name, parse_pattern(text), s if s is not None else t) for name, text, s, t in queries]

@@ -2,6 +2,8 @@
 
 A node is evaluated whole, or seeded at its left or right end by a set of vertices. With eager=True a compound node that does not
 touch the fixed end is formed whole before it is multiplied, which is the evaluator's known weakness; eager=False seeds through.
+The seeds are the first factor of a chain of products, so the cheapest order of the chain is found with them in it: mostly from the fixed end on, but
+factors far from it are multiplied first where that is estimated to be cheaper.
 """
 
 from __future__ import annotations
@@ -13,6 +15,7 @@ from pyspark.sql import functions as F
 
 from ..functions.expr import Alt, Concat, Empty, Expr, Label, Opt, Plus, Star
 from ..operators import relation as rel
+from ..operators.levels import Seen
 from ..sources.graph import LabeledGraph
 from ..sources.store import written
 
@@ -79,6 +82,8 @@ class Algebra:
             raise ValueError(kernel)
         self.graph, self.reorder, self.eager, self.kernel = graph, reorder, eager, kernel
         self.formed: list[str] = []
+        self.orders: list = []
+        self.seeds = 1
         self._packed: dict[Label, DataFrame] = {}
 
     @property
@@ -149,11 +154,7 @@ class Algebra:
                 out = out.unionByName(self.seeded(p, pairs))
             return out.distinct()
         if isinstance(e, Concat):
-            out = pairs
-            for i, p in enumerate(e.parts):
-                touches = i == 0 or isinstance(p, Label) or not self.eager
-                out = self.seeded(p, out) if touches else self.away(p, out)
-            return out
+            return self.chain(e, pairs)
         if isinstance(e, Opt):
             return rel.union(pairs, self.seeded(e.body, pairs))
         # A repetition at the fixed end: levels from the seeds with the body's relation, which is formed whole if it is compound and eager.
@@ -162,19 +163,39 @@ class Algebra:
             body = written(self.whole(e.body), "body")
             step = lambda x: rel.compose(x, body)
         base = written(pairs, "seeds")
-        found = written(step(base), "seeded")
-        pieces, new = [found], found
-        while not new.isEmpty():
-            more = step(new)
-            for p in pieces:
-                more = rel.mask_not(more, p)
-            new = written(more, "seeded")
-            pieces.append(new)
-        out = pieces[0]
-        for p in pieces[1:]:
-            out = out.unionByName(p)
+        found = Seen(["row", "col"])
+        new, n = found.new(step(base), "seeded")
+        first = new
+        while n:
+            new, n = found.new(step(new), "seeded")
+        out = found.df() if found.size else first
         return rel.union(out, base) if isinstance(e, Star) else out
 
+    def chain(self, e: Concat, pairs: DataFrame) -> DataFrame:
+        """pairs times the factors of e, in the cheapest order of the products of seeds and factors, or one factor after the other."""
+        order: object = 0
+        for i in range(1, len(e.parts) + 1):
+            order = [order, i]
+        if self.reorder:
+            stats = self.stats(e)
+            order = product_order([Size(self.seeds, self.seeds, self.seeds), *(estimate(p, stats) for p in e.parts)])[1]
+        self.orders.append(order)
+
+        def whole(plan) -> DataFrame:
+            return self.whole(e.parts[plan - 1]) if isinstance(plan, int) else rel.compose(whole(plan[0]), whole(plan[1]))
+
+        def build(plan) -> DataFrame:
+            """The product of a part of the chain that begins with the seeds."""
+            if plan == 0:
+                return pairs
+            left = build(plan[0])
+            if not isinstance(plan[1], int):
+                return rel.compose(left, whole(plan[1]))
+            p = e.parts[plan[1] - 1]
+            return self.seeded(p, left) if plan[1] == 1 or isinstance(p, Label) or not self.eager else self.away(p, left)
+
+        return build(order)
+
     def away(self, e: Expr, pairs: DataFrame) -> DataFrame:
         """pairs times a compound e that does not touch the fixed end: e is formed whole; the identity of e? and e* is added to the product."""
         if isinstance(e, (Star, Opt)):
@@ -183,24 +204,32 @@ class Algebra:
         return rel.compose(pairs, self.whole(e))
 
 
-def exalg_reach(
-    graph: LabeledGraph, expr: Expr, source: int | None = None, target: int | None = None, reorder: bool = True, restrict: bool = True, eager: bool = True, kernel: str = "packed", algebra: list | None = None
-) -> DataFrame:
-    """v: ends of paths from source, or beginnings of paths to target; with both, target itself if a path joins them.
+def exalg_pairs(graph: LabeledGraph, expr: Expr, seeds: DataFrame, end: str = "source", reorder: bool = True, restrict: bool = True, eager: bool = True, kernel: str = "packed", algebra: list | None = None, n: int | None = None) -> DataFrame:
+    """seed, v: for each seed (a table with one column, of n rows) the ends of paths from it, or with end="target" the beginnings of paths to it.
 
-    A target alone is a source for the inverse expression. algebra, if given, receives the evaluator.
+    Targets are sources of the inverse expression. algebra, if given, receives the evaluator.
     """
-    if source is None and target is None:
-        raise ValueError("no fixed end")
-    e, start = (expr, source) if source is not None else (expr.inverse(), target)
+    e = expr if end == "source" else expr.inverse()
     work = Algebra(graph, reorder, eager, kernel)
     if algebra is not None:
         algebra.append(work)
-    seed = graph.spark.createDataFrame([(start, start)], rel.PAIR)
-    if restrict:
-        found = work.seeded(e, seed)
-    else:
-        found = work.whole(e).filter(F.col("row") == start)
-        found = rel.union(found, seed) if e.nullable() else found
-    out = found.select(F.col("col").alias("v")).distinct()
+    seed = seeds.select(F.col(seeds.columns[0]).cast("long").alias("row")).filter("row is not null").distinct().withColumn("col", F.col("row"))
+    if n is None:
+        seed = written(seed, "seeds")
+        n = seed.count()
+    work.seeds = max(1, n)
+    found = work.seeded(e, seed) if restrict else rel.rows_of(work.whole(e), seed.select(F.col("row").alias("v")))
+    found = rel.union(found, seed) if e.nullable() else found  # seeds that the graph lacks have their zero-length path too
+    return found.select(F.col("row").alias("seed"), F.col("col").alias("v")).distinct()
+
+
+def exalg_reach(
+    graph: LabeledGraph, expr: Expr, source: int | None = None, target: int | None = None, reorder: bool = True, restrict: bool = True, eager: bool = True, kernel: str = "packed", algebra: list | None = None
+) -> DataFrame:
+    """v: ends of paths from source, or beginnings of paths to target; with both, target itself if a path joins them."""
+    if source is None and target is None:
+        raise ValueError("no fixed end")
+    start, end = (source, "source") if source is not None else (target, "target")
+    seed = graph.spark.createDataFrame([(start,)], "v long")
+    out = exalg_pairs(graph, expr, seed, end, reorder, restrict, eager, kernel, algebra, 1).select("v")
     return out.filter(F.col("v") == target) if source is not None and target is not None else out

@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from ..functions.automaton import Automaton, compile_expr
 from ..functions.expr import Concat, Empty, Expr, Label, concat
-from ..operators.levels import KEYS, Plan
+from ..operators.levels import KEYS, Plan, Seen
 from ..operators.reach import hybrid_reach, trace_reach, traverse
 from ..sources.graph import LabeledGraph
 from ..sources.store import written
@@ -52,22 +52,17 @@ def push_pull_reach(graph: LabeledGraph, automaton: Automaton, seed: int, pull_r
     plan = Plan(graph, automaton, literal_cap=0)
     edges = reduce(DataFrame.unionAll, plan.edge_tables())
     sources = sum(n[1] for n in graph.stats([x for x, _ in plan.steps]).values())
-    new = written(plan.rows((seed, q, seed) for q in automaton.starts), "pushed")
-    pieces, size = [new], new.count()
+    known = Seen()
+    new, size = known.new(plan.rows((seed, q, seed) for q in automaton.starts), "pushed")
     while size:
         if size < pull_ratio * sources:
-            found = plan.step(new)
+            found = plan.step(new, size)
         else:
             ends = edges.join(plan.delta_df(), ["label", "inv"]).select(F.col("q2").alias("q"), F.col("dst").alias("v"), F.col("q").alias("_q"), "src")
-            for p in pieces:
-                ends = ends.join(p.select("q", "v"), ["q", "v"], "left_anti")
+            ends = ends.join(known.df().select("q", "v"), ["q", "v"], "left_anti")
             found = ends.join(new.select(F.col("q").alias("_q"), F.col("v").alias("src")), ["_q", "src"], "left_semi").select(F.lit(seed).cast("long").alias("seed"), "q", "v").distinct()
-        for p in pieces:
-            found = found.join(p, KEYS, "left_anti")
-        new = written(found, "pushed")
-        size = new.count()
-        pieces.append(new)
-    return reduce(DataFrame.unionByName, pieces).filter(F.col("q").isin(sorted(automaton.finals))).select("v").distinct()
+        new, size = known.new(found, "pushed")
+    return (known.df() if known.size else new).filter(F.col("q").isin(sorted(automaton.finals))).select("v").distinct()
 
 
 def distance_reach(graph: LabeledGraph, automaton: Automaton, seeds) -> DataFrame:
@@ -81,14 +76,13 @@ def _levels_with(graph: LabeledGraph, automaton: Automaton, seeds, first, carrie
     plan = Plan(graph, automaton, literal_cap=0)
     start = plan.start(seeds)
     start = plan.rows(start) if isinstance(start, set) else start
-    new = written(start.select("*", *first), "level")
+    known = Seen(keep=True)
+    new, n = known.new(start.select("*", *first), "level")
     levels, delta = [new], plan.delta_df()
-    while not new.isEmpty():
+    while n:
         parts = [new.join(delta, "q").join(e.withColumnRenamed("src", "v"), ["v", "label", "inv"]) for e in plan.edge_tables()]
         found = reduce(DataFrame.unionAll, parts).groupBy("seed", F.col("q2"), "dst").agg(*carried).withColumnRenamed("q2", "q").withColumnRenamed("dst", "v")
-        for p in levels:
-            found = found.join(p.select(KEYS), KEYS, "left_anti")
-        new = written(found, "level")
+        new, n = known.new(found, "level")
         levels.append(new)
     return levels
 

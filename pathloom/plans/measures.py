@@ -5,10 +5,13 @@ Timings are tables (system, query, grp, ms, status); the method measured against
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..sources.graph import LabeledGraph
+from ..sources.graph import HOP, LabeledGraph, dictionary
+from ..sources.store import stored_size, written
 
 TIMING = "system string, query string, grp string, ms double, status string"
 
@@ -122,3 +125,97 @@ def footprint(graph: LabeledGraph, layout: str = "both", labels=None) -> DataFra
     sizes = layout_bytes(graph, layout, labels).agg(F.sum("bytes").alias("bytes"))
     edges = graph.label_stats(labels).agg(F.sum("n").alias("n_edges"))
     return edges.crossJoin(sizes).select("n_edges", "bytes", bytes_per_triple(F.col("bytes"), F.col("n_edges")).alias("bytes_per_triple"))
+
+
+LAYOUTS = ("pairs", "rows", "columns", "both", "quadtree")
+
+
+class LaidOut(LabeledGraph):
+    """A graph whose edges are stored in a layout and read from it by any evaluator.
+
+    pairs: one copy of (src, dst). rows: a compressed row for each source, which inverted steps unpack and turn round; columns: the reverse. both: rows
+    for forward and columns for inverted steps, so that each direction reads the copy keyed by the vertex it comes from. quadtree: a bitmap tree over
+    the label's vertices, numbered densely, decoded from the top down. A label is laid out at its first use.
+    """
+
+    def __init__(self, graph: LabeledGraph, layout: str = "both"):
+        if layout not in LAYOUTS:
+            raise ValueError(layout)
+        self.graph, self.layout, self.spark, self._laid = graph, layout, graph.spark, {}
+
+    def labels(self) -> list[str]:
+        return self.graph.labels()
+
+    def _stored(self, label: str, kind: str) -> DataFrame:
+        if (label, kind) not in self._laid:
+            make = {"pairs": lambda: self.graph.triples([label]), "rows": lambda: adjacency_out(self.graph, [label]), "columns": lambda: adjacency_in(self.graph, [label])}[kind]
+            self._laid[label, kind] = written(make(), f"layout-{kind}")
+        return self._laid[label, kind]
+
+    def _tree(self, label: str) -> tuple[DataFrame, DataFrame, int]:
+        """The tree of a label, its vertices (v, key from 1), and the number of levels."""
+        if (label, "quadtree") not in self._laid:
+            e = self.graph.edges(label)
+            numbers = written(dictionary(F.col("v"), e.select(F.col("src").alias("v")).unionAll(e.select(F.col("dst").alias("v"))), "v"), "numbers")
+            levels = max(1, int(numbers.count()).bit_length())
+            a, b = numbers.select(F.col("v").alias("src"), F.col("key").alias("row")), numbers.select(F.col("v").alias("dst"), F.col("key").alias("col"))
+            self._laid[label, "quadtree"] = (written(quadtree(written(e.join(a, "src").join(b, "dst").select("row", "col"), "matrix"), levels), "quadtree"), numbers, levels)
+        return self._laid[label, "quadtree"]
+
+    def _read(self, label: str, inv: int) -> DataFrame:
+        """src, dst of a label for a step that goes along it (0) or against it (1)."""
+        kind = {"both": "columns" if inv else "rows"}.get(self.layout, self.layout)
+        if kind == "quadtree":
+            tree, numbers, levels = self._tree(label)
+            a, b = numbers.select(F.col("v").alias("src"), F.col("key").alias("row")), numbers.select(F.col("v").alias("dst"), F.col("key").alias("col"))
+            return quadtree_decode(tree, levels).join(a, "row").join(b, "col").select("src", "dst")
+        stored = self._stored(label, kind)
+        if kind == "pairs":
+            return stored.select("src", "dst")
+        return stored.select("src", F.explode("dsts").alias("dst")) if kind == "rows" else stored.select(F.explode("srcs").alias("src"), "dst")
+
+    def edges(self, label: str) -> DataFrame:
+        return self._read(label, 0)
+
+    def hops(self, steps) -> DataFrame:
+        have, out = set(self.labels()), None
+        for label, inv in sorted(steps):
+            if label in have:
+                a, b = ("dst", "src") if inv else ("src", "dst")
+                df = self._read(label, inv).select(F.lit(label).alias("label"), F.lit(inv).alias("inv"), F.col(a).alias("src"), F.col(b).alias("dst"))
+                out = df if out is None else out.unionAll(df)
+        return self.spark.createDataFrame([], HOP) if out is None else out
+
+    def stored_bytes(self, labels) -> dict[str, int]:
+        """Bytes on disk of each label's stored tables, as the file system reports them."""
+        out = {}
+        for label in labels:
+            self._read(label, 0), self._read(label, 1)
+            tables = [t for (x, kind), t in self._laid.items() if x == label for t in (t[:2] if kind == "quadtree" else (t,))]
+            out[label] = sum(stored_size(t) for t in tables)
+        return out
+
+
+def plan_counters(spark, work: Callable[[], object]) -> dict[str, int]:
+    """What the Spark queries that work runs did: rows made by joins, rows shuffled, rows scanned, and the number of queries."""
+    store = spark._jsparkSession.sharedState().statusStore()
+    before = {store.executionsList().apply(i).executionId() for i in range(store.executionsList().size())}
+    work()
+    spark._jsc.sc().listenerBus().waitUntilEmpty()
+    out, all_ = {"join_rows": 0, "shuffled_rows": 0, "scanned_rows": 0, "queries": 0}, store.executionsList()
+    for i in range(all_.size()):
+        number = all_.apply(i).executionId()
+        if number in before:
+            continue
+        out["queries"] += 1
+        values, nodes = store.executionMetrics(number), store.planGraph(number).allNodes()
+        for j in range(nodes.size()):
+            node = nodes.apply(j)
+            for name, wanted, key in (("Join", "number of output rows", "join_rows"), ("Exchange", "shuffle records written", "shuffled_rows"), ("Scan", "number of output rows", "scanned_rows")):
+                if name not in node.name():
+                    continue
+                metrics = node.metrics()
+                for m in range(metrics.size()):
+                    if metrics.apply(m).name() == wanted and values.contains(metrics.apply(m).accumulatorId()):
+                        out[key] += int(str(values.apply(metrics.apply(m).accumulatorId())).replace(",", "").split()[0])
+    return out

@@ -6,6 +6,7 @@ GivenTables derives the labels of the given tables on demand; EdgeTable wraps an
 from __future__ import annotations
 
 from collections.abc import Callable, Iterable
+from functools import reduce
 
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -116,6 +117,13 @@ class GivenTables(LabeledGraph):
             self._kept[label] = df.persist() if self.keep else df
         return self._kept[label]
 
+    def close(self) -> None:
+        """Give up the edges kept in memory and on disk; a label asked for again is derived again."""
+        for df in self._kept.values():
+            df.unpersist()
+        self._kept.clear()
+        _GRAPHS.pop((self.spark.sparkContext.applicationId, id(self.spark._jsparkSession), self.sf_dir), None)
+
     def dictionary(self, kind: str) -> DataFrame:
         """value, key of a kind of vertices that is named by text."""
         if kind not in self._kept:
@@ -200,12 +208,17 @@ def _is_customer(g: GivenTables) -> DataFrame:
     return users.join(g.table("customer"), F.col("k") == F.col("c_custkey"), "left_semi").select(vid("user", "k").alias("src"), vid("customer", "k").alias("dst"))
 
 
+#: Items that are looked for in each document at once.
+QUOTED = 50_000
+
+
 def _quotes(g: GivenTables) -> DataFrame:
-    """Documents that contain an item's text: the items go to all tasks, after a check of their number."""
+    """Documents that contain an item's text: items go to all tasks, at most about QUOTED at a time, so any number of them is compared."""
     items, docs = g.table("benchmark").select("item_id", F.col("text").alias("_quoted")), g.table("documents").select("doc_id", "text")
-    if items.count() > 50_000:
-        raise ValueError("too many items for containment by nested loops")
-    return docs.join(F.broadcast(items), F.contains("text", "_quoted")).select(vid("doc", "doc_id").alias("src"), vid("bench_item", "item_id").alias("dst"))
+    n = 1 + items.count() // QUOTED
+    parts = [items.filter(F.pmod(F.xxhash64("item_id"), F.lit(n)) == i) for i in range(n)] if n > 1 else [items]
+    found = [docs.join(F.broadcast(part), F.contains("text", "_quoted")).select(vid("doc", "doc_id").alias("src"), vid("bench_item", "item_id").alias("dst")) for part in parts]
+    return reduce(DataFrame.unionAll, found)
 
 
 def _near(g: GivenTables, k: int = NEAREST) -> DataFrame:

@@ -4,41 +4,81 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+from collections.abc import Iterator
+from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
 
 _SETTING = "spark.checkpoint.dir"
+#: Paths written inside open scratch() blocks, innermost last.
+_OPEN: list[list[str]] = []
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder named in spark.checkpoint.dir; a temporary one only where the setting is absent (local tests)."""
+    """The folder named in spark.checkpoint.dir; a temporary one only where the setting is absent and all tasks run in the driver (local tests)."""
     found = spark.conf.get(_SETTING, None) or spark.sparkContext.getConf().get(_SETTING)
     if not found:
         found = getattr(spark.sparkContext, "_pathloom_folder", None)
         if not found:
+            if not spark.sparkContext.master.startswith("local"):
+                raise ValueError(f"set {_SETTING} to a folder that the driver and all executors share")
             found = spark.sparkContext._pathloom_folder = "file://" + tempfile.mkdtemp(prefix="pathloom-")
     return found.rstrip("/")
 
 
+def _hadoop(spark: SparkSession, path: str):
+    """The file system of a path, and the path as it knows it."""
+    there = spark._jvm.org.apache.hadoop.fs.Path(path)
+    return there.getFileSystem(spark._jsparkSession.sessionState().newHadoopConf()), there
+
+
 def new_path(spark: SparkSession, name: str) -> str:
-    return f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex}"
+    """A path for a table; what stands there when the application ends, or an open scratch() block does, is deleted."""
+    path = f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex}"
+    if _OPEN:
+        _OPEN[-1].append(path)
+    return path
 
 
 def written(df: DataFrame, name: str) -> DataFrame:
     """The rows of df, computed once and read back from the shared folder: a lost executor costs no recomputation."""
     spark = df.sparkSession
     path = new_path(spark, name)
-    df.write.parquet(path)
+    try:
+        df.write.parquet(path)
+    finally:
+        files, there = _hadoop(spark, path)
+        files.deleteOnExit(there)
     return spark.read.schema(df.schema).parquet(path)
 
 
 def forget(*frames: DataFrame) -> None:
     """Delete tables that written() made and that no later step reads."""
     for df in frames:
-        jvm = df.sparkSession._jvm
         for file in {f.rsplit("/", 1)[0] for f in df.inputFiles()}:
-            path = jvm.org.apache.hadoop.fs.Path(file)
-            path.getFileSystem(df.sparkSession._jsparkSession.sessionState().newHadoopConf()).delete(path, True)
+            files, there = _hadoop(df.sparkSession, file)
+            files.delete(there, True)
+
+
+def stored_size(df: DataFrame) -> int:
+    """Bytes of the files that a table is read from."""
+    total = 0
+    for file in df.inputFiles():
+        files, there = _hadoop(df.sparkSession, file)
+        total += files.getFileStatus(there).getLen()
+    return total
+
+
+@contextmanager
+def scratch(spark: SparkSession) -> Iterator[None]:
+    """Delete all tables written inside the block at its end; results of the block must be read in it."""
+    _OPEN.append([])
+    try:
+        yield
+    finally:
+        for path in _OPEN.pop():
+            files, there = _hadoop(spark, path)
+            files.delete(there, True)
 
 
 def release(spark: SparkSession) -> None:

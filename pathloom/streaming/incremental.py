@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.automaton import Automaton
-from ..operators.levels import KEYS, TRIPLE, Plan
+from ..operators.levels import KEYS, TRIPLE, Plan, Seen
 from ..sources.graph import EDGE, EdgeTable
 from ..sources.store import new_path, written
 
@@ -44,18 +44,12 @@ class GrowingQuery:
         whole = Plan(EdgeTable(self._read("edges", EDGE).filter(F.col("batch") <= batch).drop("batch"), labels, distinct=False), self.automaton)
         arrived = Plan(EdgeTable(fresh, labels, distinct=False), self.automaton)
         known = self._read("pairs", TRIPLE, batch).select(KEYS)
-        pieces = []
-        new = written(arrived.step(known).join(known, KEYS, "left_anti"), "grown")
-        while not new.isEmpty():
-            pieces.append(new)
-            found = whole.step(new).join(known, KEYS, "left_anti")
-            for p in pieces:
-                found = found.join(p, KEYS, "left_anti")
-            new = written(found, "grown")
-        out = self.spark.createDataFrame([], TRIPLE)
-        for p in pieces:
-            out = out.unionByName(p)
-        self._replace(out, "pairs", batch)
+        grown = Seen()
+        new, n = grown.new(arrived.step(known).join(known, KEYS, "left_anti"), "grown")
+        first = new
+        while n:
+            new, n = grown.new(whole.step(new, n).join(known, KEYS, "left_anti"), "grown")
+        self._replace(grown.df() if grown.size else first, "pairs", batch)
 
     def answers(self) -> DataFrame:
         """seed, v."""

@@ -188,9 +188,9 @@ def test_expression_algebra(spark):
     g, e = graph(spark, HUB), parse_pattern("(c|g)(d|e)*")
     for how in ({}, {"eager": False}, {"kernel": "shared"}, {"restrict": False}, {"restrict": False, "reorder": False}):
         assert ends(exalg_reach(g, e, source=10, **how)) == [1, 2, 3, 9] and ends(exalg_reach(g, e, target=9, **how)) == [10, 11, 12]
-    assert ends(exalg_reach(g, e, source=10, target=9)) == [9] and ends(exalg_reach(g, e, source=10, target=12)) == []
+    assert ends(exalg_reach(g, e, source=10, target=9, reorder=False)) == [9] and ends(exalg_reach(g, e, source=10, target=12)) == []
     formed = []
-    exalg_reach(g, parse_pattern("(c|g)(d|e)*"), target=9, algebra=formed)
+    exalg_reach(g, parse_pattern("(c|g)(d|e)*"), target=9, reorder=False, algebra=formed)
     assert "^c|^g" in formed[0].formed  # the dense part away from the fixed end is formed whole
     with pytest.raises(ValueError, match="fixed end"):
         exalg_reach(g, e)
@@ -237,8 +237,123 @@ def test_cleaning(spark):
 
 
 def test_time_limit(spark):
-    slow = lambda: spark.range(10**12).selectExpr("sum(id * id % 7) as x")
+    import time
+
+    slow = lambda: spark.range(10**12).selectExpr("sum(id % 7) as x")
     assert evaluate.run_with_limit(spark, slow, 1, "slow").status == "timeout"
+
+    def between():  # the limit passes while no job runs: the next one is cancelled
+        spark.range(3).count()
+        time.sleep(1.2)
+        return slow()
+
+    def late():  # no job before the limit, and a short one after it
+        time.sleep(0.7)
+        return spark.range(3)
+
+    began = time.perf_counter()
+    assert evaluate.run_with_limit(spark, between, 1, "between").status == "timeout" and time.perf_counter() - began < 30
+    assert evaluate.run_with_limit(spark, late, 0.5, "late").status == "timeout"
     good = evaluate.run_with_limit(spark, lambda: spark.range(5), 60, "good")
     assert (good.status, good.n) == ("ok", 5)
+    assert evaluate.run_with_limit(spark, lambda: spark.range(5).select("none"), 60, "bad").status == "error"
     assert evaluate.time_methods(spark, {"x": lambda: spark.range(3)}, times=1)["x"].n == 3
+    rows = evaluate.timings(spark, [("a", "q", "g", lambda: spark.range(3)), ("a", "r", "g", lambda: spark.range(3).select("none"))], 60).collect()
+    assert [(r["system"], r["query"], r["status"]) for r in rows] == [("a", "q", "ok"), ("a", "r", "error")]
+
+
+def line(n):
+    return [("d", i, i + 1) for i in range(n)]
+
+
+@pytest.mark.parametrize("method", METHODS)
+def test_many_join_levels(spark, monkeypatch, method):
+    from pathloom.operators import levels
+
+    monkeypatch.setattr(levels, "MOST_PIECES", 4)
+    g = graph(spark, line(14))
+    g.table = g.table.persist()
+    assert ends(reach.traverse(g, dfa("d*"), [0], method, 3, literal_cap=0).answers()) == list(range(15))
+    monkeypatch.setattr(reach, "KNOWN_CAP", 5)  # leaves the literal regime on the way
+    found = reach.traverse(g, dfa("d*"), [0], method, 3)
+    assert ends(found.answers()) == list(range(15)) and {x.regime for x in found.plan.trace} == {"literal", "join"}
+    g.table.unpersist()
+
+
+def test_trace_and_other_loops_over_many_levels(spark, monkeypatch):
+    from pathloom.operators import levels
+
+    monkeypatch.setattr(levels, "MOST_PIECES", 4)
+    g = graph(spark, line(12))
+    g.table = g.table.persist()
+    rows = reach.trace_reach(g, dfa("d*"), [0], literal_cap=0).collect()
+    assert sorted((r["level"], r["v"]) for r in rows) == [(i, i) for i in range(13)]
+    assert pairs(baselines.indexed_reach(g, dfa("d+"), [0, 5])) == [(0, i) for i in range(1, 13)] + [(5, i) for i in range(6, 13)]
+    assert pairs(baselines.subset_reach(g, parse_pattern("d+"), [3])) == [(3, i) for i in range(4, 13)]
+    assert ends(exalg_reach(g, parse_pattern("d+"), source=2)) == list(range(3, 13))
+    assert [r["dist"] for r in extensions.distance_reach(g, dfa("d+"), [0]).orderBy("v").collect()] == list(range(1, 13))
+    assert [len(r["path"]) for r in extensions.witness_reach(g, dfa("d+"), [0]).orderBy("v").collect()] == list(range(1, 13))
+    assert ends(extensions.push_pull_reach(g, dfa("d*"), 0)) == list(range(13))
+    g.table.unpersist()
+
+
+def test_batches(spark, monkeypatch):
+    monkeypatch.setattr(bitmask, "SEEDS", 4)
+    g = graph(spark, line(10))
+    seeds = spark.createDataFrame([(i,) for i in range(9)], "v long").repartition(3)
+    want = [(i, j) for i in range(9) for j in range(i + 1, 11)]
+    assert pairs(bitmask.batch_reach(g, dfa("d+"), seeds)) == want
+    blocks = bitmask.numbered_blocks(seeds).collect()
+    assert sorted((r["block"], r["bit"]) for r in blocks) == [(i // 4, i % 4) for i in range(9)]
+    assert pairs(bitmask.batch_reach(g, dfa("d+"), seeds.limit(0))) == []
+
+
+def test_tables_of_a_run_are_deleted(spark):
+    import os
+
+    from pathloom.sources.store import scratch, shared_folder
+
+    folder = shared_folder(spark).removeprefix("file://")
+    before = set(os.listdir(folder))
+    with scratch(spark):
+        assert ends(reach.frontier_reach(graph(spark, line(5)), dfa("d*"), [0], literal_cap=0)) == list(range(6))
+        assert set(os.listdir(folder)) > before
+    assert set(os.listdir(folder)) == before
+
+
+def test_reordering_with_a_fixed_end(spark):
+    # From one seed a fans out to 60 vertices with 20 ends each; c takes one of all those ends on, so the products are cheapest from the far end.
+    rows = [("a", 0, 100 + i) for i in range(60)] + [("b", 100 + i, 1000 + 20 * i + j) for i in range(60) for j in range(20)] + [("c", 1000, 1)]
+    g = graph(spark, rows)
+    orders = []
+    for reorder in (True, False):
+        work = []
+        assert ends(exalg_reach(g, parse_pattern("a b c"), source=0, reorder=reorder, algebra=work)) == [1]
+        assert ends(exalg_reach(g, parse_pattern("a b c"), target=1, reorder=reorder)) == [0]
+        orders.append(work[0].orders[0])
+    assert orders == [[0, [1, [2, 3]]], [[[0, 1], 2], 3]]
+    assert ends(exalg_reach(g, parse_pattern("a* b* c*"), source=77)) == [77]
+    from pathloom.plans.exalg import exalg_pairs
+
+    seeds = spark.createDataFrame([(0,), (101,), (1000,), (None,)], "v long")
+    assert pairs(exalg_pairs(g, parse_pattern("a? b? c"), seeds)) == [(0, 1), (1000, 1)]
+    assert pairs(exalg_pairs(g, parse_pattern("a? b? c"), spark.createDataFrame([(1,)], "v long"), "target")) == [(1, 0), (1, 100), (1, 1000)]
+
+
+@pytest.mark.parametrize("layout", ["pairs", "rows", "columns", "both", "quadtree"])
+def test_evaluation_on_layouts(spark, layout):
+    from pathloom.plans.measures import LaidOut
+
+    g = LaidOut(graph(spark, HUB), layout)
+    assert ends(exalg_reach(g, parse_pattern("(c|g)(d|e)*"), source=10)) == [1, 2, 3, 9] and ends(exalg_reach(g, parse_pattern("(c|g)(d|e)*"), target=9)) == [10, 11, 12]
+    assert ends(reach.hybrid_reach(g, dfa("(c|g)(d|e)*"), [10])) == [1, 2, 3, 9] and ends(reach.hybrid_reach(g, dfa("^e ^d"), [9], literal_cap=0)) == [2]
+    assert all(n > 0 for n in g.stored_bytes(["d", "e"]).values())
+    assert ends(reach.hybrid_reach(g, dfa("zzz"), [10])) == []
+
+
+def test_counters(spark):
+    from pathloom.plans.measures import plan_counters
+
+    g = graph(spark, line(30))
+    found = plan_counters(spark, lambda: reach.frontier_reach(g, dfa("d d"), [0], literal_cap=0).collect())
+    assert found["queries"] > 2 and found["join_rows"] > 0
