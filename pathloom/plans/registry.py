@@ -16,16 +16,18 @@ from ..operators import bitmask, reach
 from ..operators import relation as rel
 from ..sources.graph import given_graph
 from . import baselines, evaluate, extensions, measures, oracles
-from .exalg import exalg_reach
+from .exalg import exalg_pairs, exalg_reach
 from .workloads import bench20, chain7, hashed_seeds, query_log
 
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
+#: The comparison of all methods on all workloads, and the ablations: many more runs of the same methods.
+MORE: dict[str, Query] = {}
 ORACLES: dict[str, str] = {}
 
 
-def _add(name: str, query: Query, sql: str | None = None) -> None:
-    QUERIES[name] = query
+def _add(name: str, query: Query, sql: str | None = None, into: dict[str, Query] = QUERIES) -> None:
+    into[name] = query
     if sql is not None:
         ORACLES[name] = sql
 
@@ -57,9 +59,49 @@ def _by_algebra(work, **how) -> Query:
 
 def _by_batch(work) -> Query:
     def run(spark, d):
-        g, e = given_graph(spark, d), parse_pattern(work.pattern)
-        seeds = hashed_seeds(g, work.kind, {x for x, _ in e.steps()})
-        return reach.traverse(g, _automaton(work), seeds).answers()
+        g = given_graph(spark, d)
+        return bitmask.batch_reach(g, _automaton(work), _seeds(g, work))
+
+    return run
+
+
+def _seeds(g, work) -> DataFrame:
+    """Up to 1000 seeds of the pattern."""
+    return hashed_seeds(g, work.kind, {x for x, _ in parse_pattern(work.pattern).steps()})
+
+
+def _directed(work):
+    """The expression as read from the fixed end."""
+    e = parse_pattern(work.pattern)
+    return e.inverse() if work.end == "D" else e
+
+
+def _by_index(work) -> Query:
+    return lambda spark, d: _ends(baselines.indexed_reach(given_graph(spark, d), _automaton(work), [work.vertex]))
+
+
+def _by_subset(work) -> Query:
+    return lambda spark, d: _ends(baselines.subset_reach(given_graph(spark, d), _directed(work), [work.vertex]))
+
+
+def _joined(work, method: str) -> Query:
+    """The same by tables alone: no level runs on the driver."""
+    if method == "bitmask":
+        return lambda spark, d: _ends(bitmask.bitmask_reach(given_graph(spark, d), _automaton(work), [work.vertex], literal_cap=0))
+    return _by_method(work, method, literal_cap=0)
+
+
+def _batch_of(work, method: str) -> Query:
+    """Up to 1000 seeds by a comparison method."""
+
+    def run(spark, d):
+        g = given_graph(spark, d)
+        seeds = _seeds(g, work)
+        if method == "indexed":
+            return baselines.indexed_reach(g, _automaton(work), seeds)
+        if method == "subset":
+            return baselines.subset_reach(g, _directed(work), seeds)
+        return exalg_pairs(g, parse_pattern(work.pattern), seeds, "target" if work.end == "D" else "source", kernel="shared" if method == "exalg_sk" else "packed")
 
     return run
 
@@ -72,24 +114,54 @@ for _w in bench20():
     _add(f"bitmask_{_w.name}", _by_bitmask(_w), _sql)
     _add("exalg" + _w.name.removeprefix("bench"), _by_algebra(_w), _sql)
     _add("exalg_sk" + _w.name.removeprefix("bench"), _by_algebra(_w, kernel="shared"), _sql)
-    _add(f"batch_{_w.name}", _by_batch(_w), oracles.many_seeds(_w.name, _w.end == "D", KINDS[_w.kind]))
-for _w in chain7():
-    _add(_w.name, _by_method(_w, "hybrid"), oracles.one_seed(_w.name, _w.end == "D", _w.vertex))
-for _w in query_log()[:27]:
-    _add(_w.name, _by_method(_w, "hybrid"), oracles.one_seed(_w.name, _w.end == "D", _w.vertex))
+    _many = oracles.many_seeds(_w.name, _w.end == "D", KINDS[_w.kind])
+    _add(f"batch_{_w.name}", _by_batch(_w), _many)
+    for _m in ("frontier", "saturation", "hybrid", "bitmask"):
+        _add(f"join_{_m}_{_w.name}", _joined(_w, _m), _sql, MORE)
+    _add(f"indexed_{_w.name}", _by_index(_w), _sql, MORE)
+    if is_cypher_expressible(_directed(_w)):
+        _add(f"cypher_subset_{_w.name}", _by_subset(_w), _sql, MORE)
+        _add(f"batch_cypher_subset_{_w.name}", _batch_of(_w, "subset"), _many, MORE)
+    for _m in ("exalg", "indexed"):
+        _add(f"batch_{_m}_{_w.name}", _batch_of(_w, _m), _many, MORE)
+#: Queries whose walks take tens of levels; the methods that need a Spark job and two tables a level run them only where it is the point.
+LONG = ("chain7_5", "chain7_6", "log_04", "log_05", "log_09", "log_26")
+for _w in (*chain7(), *query_log()[:27]):
+    _sql = oracles.one_seed(_w.name, _w.end == "D", _w.vertex)
+    _add(_w.name, _by_method(_w, "hybrid"), _sql)
+    for _m in ("frontier", "saturation"):
+        _add(f"{_m}_{_w.name}", _by_method(_w, _m), _sql, MORE)
+    _add(f"bitmask_{_w.name}", _by_bitmask(_w), _sql, MORE)
+    if _w.name not in LONG:
+        _add(f"exalg_{_w.name}", _by_algebra(_w), _sql, MORE)
+        _add(f"indexed_{_w.name}", _by_index(_w), _sql, MORE)
+        if is_cypher_expressible(_directed(_w)):
+            _add(f"cypher_subset_{_w.name}", _by_subset(_w), _sql, MORE)
+        if _w.name.startswith("chain7"):
+            _add(f"exalg_sk_{_w.name}", _by_algebra(_w, kernel="shared"), _sql, MORE)
 
 _WORKS = {w.name: w for w in (*bench20(), *chain7(), *query_log())}
 
 
-def _same(name: str, work: str, query: Query) -> None:
+def _same(name: str, work: str, query: Query, into: dict[str, Query] = QUERIES) -> None:
     w = _WORKS[work]
-    _add(name, query, oracles.one_seed(work, w.end == "D", w.vertex))
+    _add(name, query, oracles.one_seed(work, w.end == "D", w.vertex), into)
 
 
 # Variants.
 
-for _name, _t in (("hybrid_t0", 0), ("hybrid_t1", 1), ("hybrid_t100", 100), ("hybrid_tinf", float("inf"))):
+for _name, _t in (("hybrid_t0", 0), ("hybrid_t1", 1), ("hybrid_t10", 10), ("hybrid_t100", 100), ("hybrid_t1000", 1000), ("hybrid_tinf", float("inf"))):
     _same(_name, "bench20_d", _by_method(_WORKS["bench20_d"], "hybrid", threshold=_t))
+    _same(f"join_{_name}", "bench20_d", _by_method(_WORKS["bench20_d"], "hybrid", threshold=_t, literal_cap=0), MORE)
+for _name, _m in (("log_05", "frontier"), ("log_09", "hybrid"), ("log_09", "bitmask"), ("chain7_5", "frontier"), ("log_13", "hybrid")):
+    _same(f"join_{_m}_{_name}", _name, _joined(_WORKS[_name], _m), MORE)
+for _name in ("bench15_s", "bench20_d"):
+    _add(f"batch_rows_{_name}", lambda s, d, w=_WORKS[_name]: reach.hybrid_reach(given_graph(s, d), _automaton(w), _seeds(given_graph(s, d), w)), oracles.many_seeds(_name, _WORKS[_name].end == "D", KINDS[_WORKS[_name].kind]), MORE)
+for _layout in measures.LAYOUTS:
+    for _name in ("bench05_s", "bench06_d", "bench08_d"):
+        _same(f"layout_{_layout}_exalg_{_name}", _name, lambda s, d, w=_WORKS[_name], x=_layout: exalg_reach(measures.LaidOut(given_graph(s, d), x), parse_pattern(w.pattern), **{"target" if w.end == "D" else "source": w.vertex}), MORE)
+    if _layout != "quadtree":
+        _same(f"layout_{_layout}_frontier_bench15_s", "bench15_s", lambda s, d, x=_layout: _ends(reach.frontier_reach(measures.LaidOut(given_graph(s, d), x), _automaton(_WORKS["bench15_s"]), [_WORKS["bench15_s"].vertex], literal_cap=0)), MORE)
 _same("hybrid_literal", "log_05", _by_method(_WORKS["log_05"], "hybrid"))
 _same("join_regime_bench15_s", "bench15_s", _by_method(_WORKS["bench15_s"], "hybrid", literal_cap=0))
 _same("order_automaton_first", "bench19_s", _by_method(_WORKS["bench19_s"], "frontier", literal_cap=0))
@@ -207,17 +279,17 @@ _same("exalg_unrestricted", "bench17_s", _by_algebra(_WORKS["bench17_s"], restri
 _same("exalg_no_reorder", "bench13_s", _by_algebra(_WORKS["bench13_s"], restrict=False, reorder=False))
 _same("exalg_reorder", "bench13_s", _by_algebra(_WORKS["bench13_s"], restrict=False))
 _same("exalg_lazy", "bench20_d", _by_algebra(_WORKS["bench20_d"], eager=False))
-for _n in ("bench07_s", "bench11_s", "bench13_s", "log_15"):
-    _same(f"indexed_{_n}", _n, lambda s, d, w=_WORKS[_n]: _ends(baselines.indexed_reach(given_graph(s, d), _automaton(w), [w.vertex])))
-for _n in ("bench01_s", "bench03_s", "bench07_s", "bench15_s", "log_07", "log_08", "log_12"):
-    _same(f"cypher_subset_{_n}", _n, lambda s, d, w=_WORKS[_n]: _ends(baselines.subset_reach(given_graph(s, d), parse_pattern(w.pattern), [w.vertex])))
-for _n, _depth in (("bench01_s", 3), ("bench13_s", 3), ("log_03", 4), ("log_04", 40), ("log_11", 2)):
+for _n in ("bench01_s", "bench02_d", "bench03_s", "bench13_s", "bench16_d", "bench20_d"):
+    for _how in (True, False):
+        _same(f"exalg_end_{'reorder' if _how else 'in_order'}_{_n}", _n, _by_algebra(_WORKS[_n], reorder=_how), MORE)
+for _n, _depth in (
+    *((f"bench{i:02d}_{e}", 3) for i, e in ((1, "s"), (3, "s"), (4, "d"), (13, "s"), (14, "d"))), ("bench17_s", 2),
+    ("log_01", 1), ("log_02", 2), ("log_03", 4), ("log_04", 40), ("log_06", 1), ("log_10", 1), ("log_11", 2), ("log_12", 2), ("log_17", 1), ("log_18", 2), ("log_21", 2), ("log_27", 2),
+):
     _same(f"recursive_sql_{_n}", _n, lambda s, d, w=_WORKS[_n], k=_depth: baselines.recursive_sql_reach(s, given_graph(s, d), _automaton(w), w.vertex, k))
 
 # Layouts, statistics, measures.
 
-_SMALL = ("adjacent", "within", "ordered_by", "resident_of", "bulk_supply")
-_EDGE_SMALL = f"({oracles.edge_cte(_SMALL)})"
 _ALL = f"({oracles.edge_cte(oracles.EDGES)})"
 _add("label_stats", lambda s, d: given_graph(s, d).label_stats(), f"SELECT label, count(*) AS n, count(DISTINCT src) AS n_src, count(DISTINCT dst) AS n_dst FROM {_ALL} GROUP BY label")
 _add("graph_stats", lambda s, d: measures.graph_stats(given_graph(s, d)), f"SELECT (SELECT count(*) FROM {_ALL}) AS n_edges, (SELECT count(*) FROM (SELECT src FROM {_ALL} UNION SELECT dst FROM {_ALL})) AS n_vertices, CAST({len(oracles.EDGES)} AS BIGINT) AS n_labels")
@@ -236,11 +308,11 @@ _COUNTS = " UNION ALL ".join(f"SELECT '{w.name}' AS query, '{w.pattern}' AS patt
 _add("bench_table", _answer_counts, _COUNTS)
 _add("answer_counts", lambda s, d: _answer_counts(s, d).select("query", "n"), f"SELECT query, n FROM ({_COUNTS})")
 _add(
-    "footprint", lambda s, d: measures.footprint(given_graph(s, d), "both", _SMALL).select("n_edges", "bytes", F.round("bytes_per_triple", 6).alias("bytes_per_triple")),
+    "footprint", lambda s, d: measures.footprint(given_graph(s, d), "both").select("n_edges", "bytes", F.round("bytes_per_triple", 6).alias("bytes_per_triple")),
     f"""SELECT CAST(sum(n) AS BIGINT) AS n_edges, CAST(sum(b) AS BIGINT) AS bytes, round(sum(b) / sum(n), 6) AS bytes_per_triple
-        FROM (SELECT count(*) AS n, (count(DISTINCT src) + count(DISTINCT dst) + 2) * 8 + (count(DISTINCT src) + count(DISTINCT dst)) * 8 + count(*) * 16 AS b FROM {_EDGE_SMALL} GROUP BY label)""",
+        FROM (SELECT count(*) AS n, (count(DISTINCT src) + count(DISTINCT dst) + 2) * 8 + (count(DISTINCT src) + count(DISTINCT dst)) * 8 + count(*) * 16 AS b FROM {_ALL} GROUP BY label)""",
 )
-_add("layout_bytes", lambda s, d: measures.layout_bytes(given_graph(s, d), "adjacency_out", _SMALL), f"SELECT label, CAST((count(DISTINCT src) + 1) * 8 + count(DISTINCT src) * 8 + count(*) * 8 AS BIGINT) AS bytes FROM {_EDGE_SMALL} GROUP BY label")
+_add("layout_bytes", lambda s, d: measures.layout_bytes(given_graph(s, d), "adjacency_out"), f"SELECT label, CAST((count(DISTINCT src) + 1) * 8 + count(DISTINCT src) * 8 + count(*) * 8 AS BIGINT) AS bytes FROM {_ALL} GROUP BY label")
 _add("layout_adjacency_query", lambda s, d: measures.unpacked(measures.adjacency_out(given_graph(s, d), ["bulk_supply"])).filter(F.col("src") == number("supplier", 7)).select(F.col("dst").alias("v")), f"SELECT DISTINCT dst AS v FROM ({oracles.EDGES['bulk_supply']}) WHERE src = {number('supplier', 7)}")
 _add("layout_adjacency_in", lambda s, d: measures.adjacency_in(given_graph(s, d), ["within"]).select("dst", F.size("srcs").cast("long").alias("n")), f"SELECT col AS dst, count(*) AS n FROM {_W} GROUP BY col")
 
@@ -274,6 +346,34 @@ _add(
 )
 _add("cost_distribution", lambda s, d: measures.distribution(_times(s)).select("system", "p0", "p25", "p50", "p75", "p100"), f"SELECT system, min(ms) AS p0, quantile_cont(ms, 0.25) AS p25, quantile_cont(ms, 0.5) AS p50, quantile_cont(ms, 0.75) AS p75, max(ms) AS p100 FROM {_DONE} GROUP BY system")
 _add("cost_per_pattern", lambda s, d: measures.per_pattern(_times(s)), f"SELECT query, system, sum(ms) AS total_ms FROM {_DONE} GROUP BY query, system")
+_SYSTEMS = ("hybrid", "exalg", "indexed", "cypher_subset")
+
+
+def _method_status(spark, d):
+    """Which method can state which query of the log."""
+    rows = [(m, w.name, "ok" if m != "cypher_subset" or is_cypher_expressible(_directed(w)) else "not expressible") for w in query_log()[:27] for m in _SYSTEMS]
+    return spark.createDataFrame(rows, "system string, query string, status string")
+
+
+_add(
+    "method_status", _method_status,
+    f"SELECT * FROM (VALUES {', '.join(f"('{m}', 'log_{i:02d}', '{'not expressible' if m == 'cypher_subset' and f'log_{i:02d}' in _NOT_CYPHER else 'ok'}')" for i in range(1, 28) for m in _SYSTEMS)}) t(system, query, status)",
+)
+
+
+def _real_runs(spark, d):
+    """system, query, answered: the simple queries of a short log, run and timed by three methods; the times themselves are in bench.py."""
+    g = given_graph(spark, d)
+    works = [_WORKS[n] for n in ("log_02", "log_07", "log_12")]
+    runs = [("hybrid", w.name, "simple", lambda w=w: reach.hybrid_reach(g, _automaton(w), [w.vertex])) for w in works]
+    runs += [("exalg", w.name, "simple", lambda w=w: exalg_reach(g, parse_pattern(w.pattern), source=w.vertex)) for w in works]
+    runs += [("indexed", w.name, "simple", lambda w=w: baselines.indexed_reach(g, _automaton(w), [w.vertex])) for w in works]
+    times = evaluate.timings(spark, runs, 300)
+    both = measures.summarize(times).join(measures.relative_speedup(times, "hybrid"), ["system", "grp"])
+    return both.select("system", "n", (F.abs(F.col("mean_ms") * F.col("n") - F.col("total_ms")) < 0.001).alias("adds_up"), (F.abs(F.col("mean_speedup") * F.col("times_slower_mean") - 1) < 1e-9).alias("inverse"))
+
+
+_add("cost_of_real_runs", _real_runs, "SELECT * FROM (VALUES ('hybrid', CAST(3 AS BIGINT), true, true), ('exalg', 3, true, true), ('indexed', 3, true, true)) t(system, n, adds_up, inverse)")
 _add("status_counts", lambda s, d: measures.status_counts(_times(s)), f"SELECT system, status, count(*) AS n FROM {_TIMES_SQL} GROUP BY system, status")
 
 

@@ -173,14 +173,20 @@ def join_interval_events(spark, d):
     return left.join(right, ["user_id", "hour"]).filter(near).select("a", "b")
 
 
-@query("""SELECT o_orderkey, (SELECT max(event_id) FROM events e WHERE e.user_id = o_custkey AND e.ts = (SELECT max(ts) FROM events x WHERE x.user_id = o_custkey AND x.ts <= o_orderdate)) AS event_id
-          FROM orders WHERE o_custkey < 150""")
+@query("""SELECT o_orderkey, e.event_id FROM orders ASOF LEFT JOIN (SELECT user_id, ts, max(event_id) AS event_id FROM events GROUP BY user_id, ts) e
+          ON o_custkey = e.user_id AND o_orderdate >= e.ts""")
 def join_asof(spark, d):
-    """For each order the last event of its user at or before the order date: one sort of both tables by user and time."""
-    orders = _t(spark, d, "orders").filter("o_custkey < 150").select(F.col("o_custkey").alias("user_id"), F.col("o_orderdate").alias("ts"), F.lit(1).alias("side"), "o_orderkey", F.lit(None).cast("long").alias("event_id"))
+    """For each order the last event of its user at or before the order date. Rows are sorted by user and day; of earlier days only the last event of
+    each is carried on, so a user's long history is not sorted in one task."""
+    orders = _t(spark, d, "orders").select(F.col("o_custkey").alias("user_id"), F.col("o_orderdate").alias("ts"), F.lit(1).alias("side"), "o_orderkey", F.lit(None).cast("long").alias("event_id"))
     events = _t(spark, d, "events").select("user_id", "ts", F.lit(0).alias("side"), F.lit(None).cast("long").alias("o_orderkey"), "event_id")
-    w = Window.partitionBy("user_id").orderBy("ts", "side", "event_id").rowsBetween(Window.unboundedPreceding, 0)
-    return orders.unionByName(events).withColumn("last", F.last("event_id", True).over(w)).filter("side = 1").select("o_orderkey", F.col("last").alias("event_id"))
+    rows = orders.unionByName(events).withColumn("day", F.to_date("ts"))
+    own = Window.partitionBy("user_id", "day").orderBy("ts", "side", "event_id").rowsBetween(Window.unboundedPreceding, 0)
+    here = rows.withColumn("last", F.last("event_id", True).over(own)).filter("side = 1").select("user_id", "day", "o_orderkey", "last")
+    days = rows.groupBy("user_id", "day").agg(F.max(F.when(F.col("side") == 0, F.struct("ts", "event_id")))["event_id"].alias("of_day"))
+    earlier = Window.partitionBy("user_id").orderBy("day").rowsBetween(Window.unboundedPreceding, -1)
+    before = days.select("user_id", "day", F.last("of_day", True).over(earlier).alias("before"))
+    return here.join(before, ["user_id", "day"]).select("o_orderkey", F.coalesce("last", "before").alias("event_id"))
 
 
 # Aggregates.
