@@ -4,7 +4,8 @@ Lines are grouped by host: the pages of the host that hold a line are divided by
 ratio go from every page of that host. Only 64-bit line hashes are counted and joined; texts are read twice, and shuffled only where the lines to drop are too many to broadcast.
 
 Lines of a page are its html without script and style elements and comments, cut at tags and line ends, trimmed of white space; empty
-lines are no lines. A line counts once a page. The ratio holds for hosts of any size; a line of one page alone is never dropped. A url
+lines are no lines. A line counts once a page. The ratio holds for hosts of any size; a line must stand on min_holders pages (2 if not said otherwise), since
+a line of one page alone repeats nothing. A url
 without "://", or none, belongs to the host "". Rows without page_id are pages of their own. Repeated rows are pages of their own too: each counts.
 A null html has no lines. Empty tables give empty results. Columns of the input other than the three named are ignored.
 """
@@ -17,9 +18,9 @@ from pyspark.sql import functions as F
 from .store import written
 from .url_filter import url_host
 
-RATIO = 0.3
-#: Only the SQL of the query still reads this: it leaves out hosts of fewer pages, the operator does not.
-MIN_PAGES = 5
+RATIO, MIN_HOLDERS = 0.3, 2
+#: Hosts of more pages are hot: their totals are broadcast (at most one for each so many pages of the input), so that their lines stay spread.
+HOT_HOST = 100_000
 #: Up to so many line hashes the lines to drop are broadcast; beyond it pages and lines are joined with this many salts for each host.
 BROADCAST_LINES, SALTS = 1_000_000, 64
 _CUT = r"(?is)<script\b.*?</script[ \t\n\r\f]*>|<style\b.*?</style[ \t\n\r\f]*>|<!--.*?-->|<[^>]*>|[\n\r]+"
@@ -30,19 +31,25 @@ def html_lines(html: Column) -> Column:
     return F.filter(F.transform(cut, lambda x: F.btrim(x, F.lit(" \t\n\r\f"))), lambda x: x != "")
 
 
-def frequent_lines(hashed: DataFrame, ratio: float) -> DataFrame:
+def frequent_lines(hashed: DataFrame, ratio: float, min_holders: int = MIN_HOLDERS) -> DataFrame:
     """host, line (hash), n_pages, host_pages of the lines above the ratio, for rows (host, lines array of distinct hashes)."""
-    totals = hashed.groupBy("host").agg(F.count("*").alias("host_pages"))
-    held = hashed.select("host", F.explode_outer("lines").alias("line")).filter("line is not null").groupBy("host", "line").agg(F.count("*").alias("n_pages")).filter(F.col("n_pages") > 1)
-    return held.join(totals, "host").filter(F.col("n_pages") > F.col("host_pages") * F.lit(ratio))
-
-
-def drop_boilerplate(pages: DataFrame, ratio: float = RATIO, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:
+    totals = written(hashed.groupBy("host").agg(F.count("*").alias("host_pages")), "host-pages")
+    held = hashed.select("host", F.explode_outer("lines").alias("line")).filter("line is not null").groupBy("host", "line").agg(F.count("*").alias("n_pages")).filter(F.col("n_pages") >= min_holders)
+    hot = totals.filter(F.col("host_pages") > HOT_HOST).select("host", F.col("host_pages").alias("_hot"))
+    told = held.join(F.broadcast(hot), "host", "left")
+    # Lines of hot hosts know their total: they go to the join with the others by a key of their own that nothing matches, and so to all tasks alike.
+    key = F.when(F.col("_hot").isNull(), F.struct("host", F.lit(0).cast("long").alias("spread"))).otherwise(F.struct("host", F.col("line").bitwiseOR(F.lit(1)).alias("spread")))
+    others = totals.filter(F.col("host_pages") <= HOT_HOST).select(F.struct("host", F.lit(0).cast("long").alias("spread")).alias("_key"), "host_pages")
+    told = told.withColumn("_key", key).join(others, "_key", "left").withColumn("host_pages", F.coalesce("_hot", "host_pages"))
+    return told.filter(F.col("n_pages") > F.col("host_pages") * F.lit(ratio)).select("host", "line", "n_pages", "host_pages")
+
+
+def drop_boilerplate(pages: DataFrame, ratio: float = RATIO, id_col: str = "page_id", url_col: str = "url", html_col: str = "html", min_holders: int = MIN_HOLDERS) -> DataFrame:
     """id_col, host, n_lines, n_dropped, text (the lines that stay, joined by line ends) for every page."""
     lined = pages.select(F.col(id_col).alias("page_id"), url_host(F.col(url_col)).alias("host"), html_lines(F.col(html_col)).alias("lines"))
     hashed = lined.select("host", F.array_distinct(F.transform("lines", lambda x: F.xxhash64(x))).alias("lines"))
     # At most 1 / ratio times the mean number of lines of a page can be above the ratio on a host, so a host's set is short.
-    by_host = written(frequent_lines(hashed, ratio).groupBy("host").agg(F.collect_set("line").alias("_drop")), "boilerplate")
+    by_host = written(frequent_lines(hashed, ratio, min_holders).groupBy("host").agg(F.collect_set("line").alias("_drop")), "boilerplate")
     if (by_host.agg(F.sum(F.size("_drop") + 4)).first()[0] or 0) <= BROADCAST_LINES:
         judged = lined.join(F.broadcast(by_host), "host", "left")
     else:  # pages of one host go to as many tasks as there are salts

@@ -97,8 +97,8 @@ ORACLES: dict[str, str] = {
                       FROM (SELECT r, page_id, host, parts, unnest(generate_series(1, len(parts))) AS i FROM cut)),
              held AS (SELECT * FROM line WHERE x <> ''),
              host_n AS (SELECT host, count(*) AS n FROM cut GROUP BY host),
-             bad AS (SELECT held.host, x FROM held JOIN host_n ON host_n.host = held.host WHERE n >= {line_dedup.MIN_PAGES}
-                     GROUP BY held.host, x, n HAVING count(DISTINCT r) > 1 AND count(DISTINCT r) > n * {line_dedup.RATIO}),
+             bad AS (SELECT held.host, x FROM held JOIN host_n ON host_n.host = held.host
+                     GROUP BY held.host, x, n HAVING count(DISTINCT r) >= {line_dedup.MIN_HOLDERS} AND count(DISTINCT r) > n * {line_dedup.RATIO}),
              marked AS (SELECT held.r, i, held.x, bad.x IS NOT NULL AS gone FROM held LEFT JOIN bad ON bad.host = held.host AND bad.x = held.x),
              page AS (SELECT r, count(*) AS n_lines, count(*) FILTER (WHERE gone) AS n_dropped, string_agg(x, chr(10) ORDER BY i) FILTER (WHERE NOT gone) AS text FROM marked GROUP BY r)
         SELECT page_id, host, CAST(coalesce(n_lines, 0) AS BIGINT) AS n_lines, CAST(coalesce(n_dropped, 0) AS BIGINT) AS n_dropped, coalesce(text, '') AS text

@@ -68,8 +68,12 @@ def test_lines_by_salts(spark, monkeypatch):
     rows = [(i, "http://a.example/", f"same<br>own {i}") for i in range(40)]
     df = spark.createDataFrame(rows, "page_id long, url string, html string")
     want = sorted(map(tuple, line_dedup.drop_boilerplate(df).collect()))
-    monkeypatch.setattr(line_dedup, "BROADCAST_LINES", -1)
-    assert sorted(map(tuple, line_dedup.drop_boilerplate(df).collect())) == want and want[0][4].startswith("own")
+    assert want[0][4].startswith("own")
+    for name, value in (("HOT_HOST", 3), ("BROADCAST_LINES", -1)):
+        monkeypatch.setattr(line_dedup, name, value)
+        assert sorted(map(tuple, line_dedup.drop_boilerplate(df).collect())) == want
+    alone = sorted(map(tuple, line_dedup.drop_boilerplate(df, min_holders=41).collect()))
+    assert all(r[3] == 0 for r in alone)
 
 
 URLS = [None, "", "no scheme", "http://x.ORG/a", "https://example.org/es/1?x", "http://sub.example.org/en/12#y", "http://example.org/en/2", "http://notexample.org/es/", "http://a.com/fr/1", "ftp://b.com/de/", "http://org", "http://org/", "http://casino.net/", "http://ads-track.net/x", "http://casinos.net/", "http://u@example.org:80/es/", "a://b://c.org/", "http://a.com?x=/fr/", "http://A.cOm/fr/é"]
