@@ -1,19 +1,20 @@
 """Exact top-k inner products over an impact-ordered index, score at a time.
 
-Vectors become integers, floor(scale x component) of the component as double. Data rows lie in blocks of at most BLOCK vectors. The index of a block
-keeps, for each dimension, segments: the rows whose component has the same quantised impact (component >> SHIFT), each with its range of
-components. For a query a segment promises at most max(q * low, q * high) in its dimension; less the least that the dimension can give, this is
-the segment's impact. Segments are processed by descending impact and add their promise to the rows they list. What a row can still
-get from a dimension in which it was not met yet is at most the largest promise of that dimension's segments left. Processing stops
-only on proof: when the rows whose bound reaches the k-th best exact score known in the block are few (or none), those rows are
+Vectors become integers, floor(scale x component) of the component as double. Data rows lie in blocks of at most CELLS components. The index of a block
+is built once and stored with it. It keeps, for each dimension, segments: the rows whose component has the same quantised impact (component >> SHIFT),
+each with its range of components. For a query a segment promises at most max(q * low, q * high) in its dimension; less the least that the dimension can
+give, this is the segment's impact. Segments are processed by descending impact and add their promise to the rows they list. What a row can still
+get from a dimension in which it was not met yet is at most the impact of the next segment. Processing stops
+only on proof: when the rows whose bound reaches the k-th best exact score known in the block are at most FEW times k, those rows are
 rescored exactly; rows under it can't be members. The known score comes from rescoring the leading rows, so the proof holds at any time.
 
-A query set is paired with all data in blocks: every (query block, data block) is one task's work, then the block results are cut to k.
-Nothing is broadcast and nothing grows with the data in one task.
+A query set is paired with all data in blocks: every (data block, at most QUERIES queries) is one task's work, dealt by both numbers whatever its
+size in bytes; then the block results are cut to k. Nothing is broadcast and nothing grows with the data in one task.
 
-Defined results: vectors that are null, hold null or non-finite components, or are empty take no part, neither do rows without id.
-Components of 2^20 or more count as non-finite, since scores must fit 64 bits. Vectors of another length than the query are no candidates. Equal scores go to the smaller id. Repeated ids are candidates each, but
-never their own query's. Fewer than k candidates give fewer rows. Empty tables give an empty result. Other columns are ignored.
+Defined results: vectors that are null, hold null or non-finite components, or are empty take no part, neither do rows without id. Any finite component
+takes part: where sums of 64 bits might overflow, scores are whole numbers of any length, and a member's score beyond 64 bits raises OverflowError. Vectors
+of another length than the query are no candidates. Equal scores go to the smaller id. Repeated ids are candidates each, but never their own query's;
+repeated query rows get an answer each. Fewer than k candidates give fewer rows. Empty tables give an empty result. Other columns are ignored.
 """
 
 from __future__ import annotations
@@ -26,68 +27,98 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 K, SCALE, EVERY = 5, 256, 50
-BLOCK, QUERIES, SHIFT, CHECK_EVERY, FEW = 32_768, 128, 4, 32, 2048
+CELLS, QUERIES, SHIFT, CHECK_EVERY, FEW = 1 << 21, 256, 2, 128, 8
+#: Sums of products under this bound stay exact in 64 bits, with room for the counts beside them.
+_SAFE = 2.0**45
 
 
 class ImpactIndex:
-    """Segments of one block of integer vectors."""
-
-    def __init__(self, ids: np.ndarray, rows: np.ndarray):
-        self.ids, self.rows = ids, rows
-        self.segments: list[list[np.ndarray]] = []
+    """Segments of one block of integer vectors (rows of whole numbers as doubles). order: row numbers by dimension and component, if known."""
+
+    def __init__(self, ids: np.ndarray, rows: np.ndarray, order: np.ndarray | None = None):
+        self.ids, self.whole = ids, rows
+        self.largest = float(np.abs(rows).max(initial=0.0))
+        self.narrow = self.largest < 2.0**53
+        self.read = self.rescored = 0  # segments read and rows rescored by the last search
+        if not self.narrow:
+            return
+        self.rows = rows.astype(np.int64)
+        self.order = self.sorted(rows) if order is None else order
+        self.segments: list[np.ndarray] = []
         low, high, dim = [], [], []
         for d in range(rows.shape[1]):
-            column = rows[:, d]
-            order = np.argsort(column, kind="stable").astype(np.int32)
-            level = column[order] >> SHIFT
-            cuts = np.flatnonzero(np.diff(level)) + 1
-            for part in np.split(order, cuts):
-                self.segments.append(part)
-                low.append(column[part[0]])
-                high.append(column[part[-1]])
-                dim.append(d)
-        self.low, self.high, self.dim = np.array(low, np.int64), np.array(high, np.int64), np.array(dim)
+            place = self.order[d].astype(np.int64)
+            column = self.rows[place, d]
+            cuts = np.flatnonzero(np.diff(column >> SHIFT)) + 1
+            self.segments += np.split(place, cuts)
+            begin = np.concatenate(([0], cuts))
+            low.append(column[begin])
+            high.append(column[np.append(cuts, len(column)) - 1])
+            dim.append(np.full(len(begin), d))
+        self.low, self.high, self.dim = np.concatenate(low), np.concatenate(high), np.concatenate(dim)
+
+    @staticmethod
+    def sorted(rows: np.ndarray) -> np.ndarray:
+        return np.argsort(rows.T, axis=1, kind="stable").astype(np.int32)
+
+    def scores(self, may: np.ndarray, query: np.ndarray) -> np.ndarray:
+        """Exact inner products: 64-bit numbers where they can't overflow, else whole numbers of any length."""
+        if self.narrow and self.largest * float(np.abs(query).max()) * len(query) < 2.0**62:
+            return self.rows[may] @ query.astype(np.int64)
+        q = [int(x) for x in query.tolist()]
+        return np.array([sum(int(a) * b for a, b in zip(row, q, strict=True)) for row in self.whole[may].tolist()], object)
 
     def search(self, query: np.ndarray, own: int, k: int) -> tuple[np.ndarray, np.ndarray]:
         """Ids and scores of the block's best k for the query."""
+        n, d = self.whole.shape
+        self.read, floor, may = 0, None, np.arange(n)
+        if self.narrow and self.largest * float(np.abs(query).max()) * d < _SAFE:
+            floor, bound = self._bounds(query.astype(np.int64), own, k)
+            may = np.flatnonzero(bound >= floor) if floor is not None else may
+        may = may[self.ids[may] != own]
+        self.rescored = len(may)
+        score = self.scores(may, query)
+        if len(may) > k and score.dtype == np.int64:
+            keep = score >= np.partition(score, len(may) - k)[len(may) - k]
+            may, score = may[keep], score[keep]
+        best = sorted(range(len(may)), key=lambda i: (-int(score[i]), int(self.ids[may[i]])))[:k]
+        return self.ids[may[best]], score[best]
+
+    def _bounds(self, query: np.ndarray, own: int, k: int) -> tuple[int | None, np.ndarray]:
+        """The k-th best score known, and what each row can reach, when processing stops."""
         n, d = self.rows.shape
         promise = np.maximum(self.low * query[self.dim], self.high * query[self.dim])
         least = np.full(d, np.iinfo(np.int64).max)
         np.minimum.at(least, self.dim, promise)
         base, impact = least.sum(), promise - least[self.dim]
-        order = np.argsort(-impact, kind="stable") if float(impact.max()) * d < 2.0**46 else np.empty(0, int)  # else the sums below could overflow: rescore all
+        order = np.argsort(-impact, kind="stable")
         left = np.append(impact[order], 0)
         met = np.zeros(n, np.int64)  # impact x 2 ** 16 + number of dimensions met
-        floor = None
+        floor, bound = None, None
         for step, s in enumerate(order.tolist(), 1):
             met[self.segments[s]] += (int(impact[s]) << 16) + 1
+            self.read = step
             if step % CHECK_EVERY and step < len(order):
                 continue
-            # In a dimension that a row was not met in, it can get at most the impact of the next segment.
             bound = (met >> 16) + left[step] * (d - (met & 0xFFFF)) + base
             if floor is None or step % (4 * CHECK_EVERY) == 0:
                 lead = np.argpartition(-bound, min(n - 1, 4 * k))[: 4 * k + 1]
                 known = np.sort((self.rows[lead] @ query)[self.ids[lead] != own])[::-1]
                 if len(known) >= k:
                     floor = known[k - 1] if floor is None else max(floor, known[k - 1])
-            if floor is not None and np.count_nonzero(bound >= floor) <= max(FEW, 4 * k):
+            if floor is not None and np.count_nonzero(bound >= floor) <= FEW * k:
                 break
-        may = np.flatnonzero(bound >= floor) if floor is not None else np.arange(n)
-        may = may[self.ids[may] != own]
-        score = self.rows[may] @ query
-        best = np.lexsort((self.ids[may], -score))[:k]
-        return self.ids[may][best], score[best]
+        return floor, bound
 
 
-def _ready(vectors: DataFrame, id_col: str, vector_col: str, scale: int) -> DataFrame:
-    """vec_id, v (array of long) of the rows that take part; large components are refused, since scores must fit 64 bits."""
-    whole = F.transform(vector_col, lambda x: F.floor(x.cast("double") * scale))
-    fine = F.forall(vector_col, lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x.cast("double")) < 2.0**20))
-    return vectors.filter(F.col(id_col).isNotNull() & (F.size(vector_col) > 0) & fine).select(F.col(id_col).cast("long").alias("vec_id"), whole.alias("v"))
+def _ready(vectors: DataFrame, id_col: str, vector_col: str) -> DataFrame:
+    """vec_id, v (array of double) of the rows that take part."""
+    fine = F.forall(vector_col, lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x.cast("double")) < F.lit(float("inf"))))
+    return vectors.filter(F.col(id_col).isNotNull() & (F.size(vector_col) > 0) & fine).select(F.col(id_col).cast("long").alias("vec_id"), F.transform(vector_col, lambda x: x.cast("double")).alias("v"))
 
 
-def _packed(rows: DataFrame, per_block: int, name: str) -> DataFrame:
-    """name, dims, ids and values (bytes): at most per_block rows of equal length in each."""
+def _packed(rows: DataFrame, scale: int, name: str, per_block: int | None = None) -> DataFrame:
+    """name, dims, ids, values (whole numbers as doubles) and, without per_block, the index's order, as bytes: at most per_block rows, or CELLS components, of equal length in each."""
 
     def pack(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         import uuid
@@ -95,44 +126,52 @@ def _packed(rows: DataFrame, per_block: int, name: str) -> DataFrame:
         waiting: dict[int, list] = {}
 
         def out(d: int, got: list) -> pd.DataFrame:
-            values = np.stack([v for _, v in got]).astype(np.int64)
-            return pd.DataFrame({name: [uuid.uuid4().int & ((1 << 62) - 1)], "dims": [d], "ids": [np.array([i for i, _ in got], np.int64).tobytes()], "values": [values.tobytes()]})
+            values = np.floor(np.stack([v for _, v in got]) * scale)
+            if not np.isfinite(values).all():
+                raise OverflowError("a scaled component is beyond doubles")
+            order = ImpactIndex.sorted(values).tobytes() if per_block is None else b""
+            return pd.DataFrame({name: [uuid.uuid4().int & ((1 << 62) - 1)], "dims": [d], "ids": [np.array([i for i, _ in got], np.int64).tobytes()], "values": [values.tobytes()], "order": [order]})
 
         for batch in batches:
             for i, v in zip(batch["vec_id"].tolist(), batch["v"].tolist(), strict=True):
                 got = waiting.setdefault(len(v), [])
                 got.append((i, v))
-                if len(got) == per_block:
+                if len(got) >= (per_block or max(1, CELLS // len(v))):
                     yield out(len(v), waiting.pop(len(v)))
         for d, got in waiting.items():
             yield out(d, got)
 
-    return rows.mapInPandas(pack, f"{name} long, dims int, ids binary, values binary")
+    return rows.mapInPandas(pack, f"{name} long, dims int, ids binary, values binary, `order` binary")
 
 
 def top_k(vectors: DataFrame, queries: DataFrame, k: int = K, scale: int = SCALE, id_col: str = "vec_id", vector_col: str = "embedding") -> DataFrame:
     """query_id, rank, vec_id, score: for each row of queries the k best rows of vectors but those of its own id."""
     from .store import written
 
-    ready = _ready(vectors, id_col, vector_col, scale)
-    # Rows are dealt evenly to as many tasks as there are blocks: a fuller block is searched with less work for each row.
-    data = written(_packed(ready.repartition(1 + ready.count() // BLOCK), BLOCK, "block"), "impact-blocks")
-    asked = written(_packed(_ready(queries, id_col, vector_col, scale), QUERIES, "part"), "impact-queries")
-    asked = asked.select("part", F.col("dims"), F.col("ids").alias("query_ids"), F.col("values").alias("query_values"))
-    # Each data block goes to each query block of its length: the work is the product of both, so pairs are dealt by both ids.
-    pairs = data.select("block", "dims").join(asked.select("part", "dims"), "dims")
-    work = pairs.repartition("block", "part").join(data.drop("dims"), "block").join(asked.drop("dims"), "part")
-
-    def search(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        index, of = None, None
-        for batch in batches:
-            for row in batch.itertuples(index=False):
-                if of != row.block:
-                    index, of = ImpactIndex(np.frombuffer(row.ids, np.int64), np.frombuffer(row.values, np.int64).reshape(-1, row.dims)), row.block
-                ids = np.frombuffer(row.query_ids, np.int64)
-                found = [(q, *index.search(v, q, k)) for q, v in zip(ids, np.frombuffer(row.query_values, np.int64).reshape(-1, row.dims), strict=True)]
-                yield pd.DataFrame({"query_id": np.repeat([q for q, _, _ in found], [len(i) for _, i, _ in found]), "vec_id": np.concatenate([i for _, i, _ in found]), "score": np.concatenate([s for _, _, s in found])}).astype("int64")
-
-    near = work.mapInPandas(search, "query_id long, vec_id long, score long")
-    place = F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id"))
+    ready, asking = _ready(vectors, id_col, vector_col), _ready(queries, id_col, vector_col)
+    cells = ready.agg(F.sum(F.size("v"))).first()[0] or 0
+    # Rows are dealt evenly to as many tasks as there are blocks, queries to as many as there are query blocks.
+    data = written(_packed(ready.repartition(1 + cells // CELLS), scale, "block"), "impact-blocks")
+    asked = written(_packed(asking.repartition(1 + asking.count() // QUERIES), scale, "part", QUERIES), "impact-queries").drop("order")
+    pairs = written(data.select("block", "dims").join(asked.select("part", "dims"), "dims").select("block", "part"), "impact-pairs")
+    # A number of partitions that is given is not made smaller for want of bytes: the work lies in the pairs.
+    n = max(1, min(pairs.count(), 16 * vectors.sparkSession.sparkContext.defaultParallelism))
+    blocks = data.join(pairs, "block").repartition(n, "block", "part")
+    asks = asked.join(pairs, "part").select("block", "part", F.col("ids").alias("query_ids"), F.col("values").alias("query_values")).repartition(n, "block", "part")
+
+    def search(block: pd.DataFrame, asks: pd.DataFrame) -> pd.DataFrame:
+        found = []
+        for row in block.itertuples(index=False):
+            shape = (-1, row.dims)
+            index = ImpactIndex(np.frombuffer(row.ids, np.int64), np.frombuffer(row.values, np.float64).reshape(shape), np.frombuffer(row.order, np.int32).reshape(row.dims, -1))
+            for part in asks.itertuples(index=False):
+                for at, (q, v) in enumerate(zip(np.frombuffer(part.query_ids, np.int64).tolist(), np.frombuffer(part.query_values, np.float64).reshape(shape), strict=True)):
+                    ids, score = index.search(v, q, k)
+                    found += [(part.part, at, q, i, int(s)) for i, s in zip(ids.tolist(), score.tolist(), strict=True)]
+        if any(abs(f[4]) >= 1 << 63 for f in found):
+            raise OverflowError("a score is beyond 64 bits")
+        return pd.DataFrame(found, columns=["part", "at", "query_id", "vec_id", "score"]).astype("int64")
+
+    near = blocks.groupBy("block", "part").cogroup(asks.groupBy("block", "part")).applyInPandas(search, "part long, at long, query_id long, vec_id long, score long")
+    place = F.row_number().over(Window.partitionBy("part", "at").orderBy(F.desc("score"), "vec_id"))
     return near.withColumn("rank", place).filter(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")

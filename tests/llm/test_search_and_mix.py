@@ -10,7 +10,7 @@ VEC = "vec_id long, embedding array<float>, rank int"
 
 
 def brute(rows, k=5):
-    fine = [(i, np.floor(256 * np.array(v, np.float64)).astype(int)) for i, v in rows if i is not None and v and all(x is not None and np.isfinite(x) for x in v)]
+    fine = [(i, np.floor(256 * np.array(v, np.float64)).astype(int).astype(object)) for i, v in rows if i is not None and v and all(x is not None and np.isfinite(x) for x in v)]
     out = set()
     for q, a in fine:
         if q % 50 == 0:
@@ -25,30 +25,63 @@ def test_top_k_is_exact(spark, monkeypatch):
     rows[10] = (10, rows[11][1])  # ties
     rows += [(None, rows[0][1]), (800, None), (850, []), (801, [1.0, None] + [0.0] * 14), (802, [float("nan")] * 16), (803, [float("inf")] * 16), (900, [1.0, 2.0])]
     df = spark.createDataFrame([(i, v, 1) for i, v in rows], VEC)
-    for block in (64, 32768):
-        monkeypatch.setattr(top_k, "BLOCK", block)
-        monkeypatch.setattr(top_k, "FEW", 16)
+    for cells, queries in ((64 * 16, 4), (1 << 21, 256)):
+        monkeypatch.setattr(top_k, "CELLS", cells)
+        monkeypatch.setattr(top_k, "QUERIES", queries)
         got = {tuple(r) for r in top_k.top_k(df, df.filter("vec_id % 50 = 0")).collect()}
         assert got == brute(rows)
 
 
 def test_search_stops_on_proof():
     rng = np.random.default_rng(1)
-    rows = rng.integers(-100, 100, (3000, 8))
+    rows = rng.integers(-100, 100, (3000, 8)).astype(float)
     rows[:50] *= 3
-    index = top_k.ImpactIndex(np.arange(3000), rows)
+    index, read, rescored = top_k.ImpactIndex(np.arange(3000), rows), [], []
     for q in range(0, 3000, 171):
         ids, scores = index.search(rows[q], q, 5)
-        s = rows @ rows[q]
+        read.append(index.read), rescored.append(index.rescored)
+        s = (rows @ rows[q]).astype(int)
         want = [i for i in np.lexsort((np.arange(3000), -s)) if i != q][:5]
         assert ids.tolist() == want and scores.tolist() == s[want].tolist()
+    assert max(read) < len(index.segments) and np.mean(read) < 0.8 * len(index.segments) and max(rescored) <= 5 * top_k.FEW
+
+
+def test_search_prunes_the_given_vectors():
+    import pyarrow.parquet as pq
+
+    table = pq.read_table("/root/testdata/sf0.01/embeddings.parquet")
+    rows = np.floor(256 * np.array(table["embedding"].to_pylist(), float))
+    ids = table["vec_id"].to_numpy()
+    index, few, early = top_k.ImpactIndex(ids, rows), 0, 0
+    for q in np.flatnonzero(ids % 50 == 0):
+        index.search(rows[q], int(ids[q]), 5)
+        few += index.rescored <= 5 * top_k.FEW
+        early += index.read < len(index.segments)
+        assert index.rescored < len(rows) // 2
+    assert few == early == np.count_nonzero(ids % 50 == 0)
 
 
 def test_large_components(spark):
     rng = np.random.default_rng(8)
     rows = [(i, [float(np.float32(x)) for x in rng.normal(0, 30000, 4)]) for i in range(60)]
+    rows += [(100, [3000000.0, 0.0, 0.0, 1.0]), (150, [0.0, 2.0**30, 0.0, -1.0]), (101, [2.0**22, -(2.0**21), 1.0, 0.0])]
     df = spark.createDataFrame([(i, v, 1) for i, v in rows], VEC)
-    assert {tuple(r) for r in top_k.top_k(df, df.filter("vec_id % 50 = 0")).collect()} == brute(rows)
+    got = {tuple(r) for r in top_k.top_k(df, df.filter("vec_id % 50 = 0")).collect()}
+    assert got == brute(rows) and {100, 150} <= {r[0] for r in got}
+    far = spark.createDataFrame([(0, [2.0**70, 1.0], 1), (1, [1.0, -5.0], 1), (2, [0.0, 7.0], 1)], VEC)
+    try:
+        top_k.top_k(far, far.filter("vec_id = 0")).collect()
+        raise AssertionError
+    except Exception as e:  # a member's score does not fit
+        assert "beyond 64 bits" in str(e)
+    near = far.filter("vec_id <> 1")
+    assert [tuple(r) for r in top_k.top_k(near, near.filter("vec_id = 0")).collect()] == [(0, 1, 2, 256 * 256 * 7)]
+
+
+def test_repeated_queries_and_ids(spark):
+    df = spark.createDataFrame([(0, [1.0], 1), (0, [-1.0], 1), (7, [0.5], 1), (7, [0.25], 1)], VEC)
+    got = sorted(map(tuple, top_k.top_k(df, df.filter("vec_id = 0"), 2).collect()))
+    assert got == sorted([(0, 1, 7, 256 * 128), (0, 2, 7, 256 * 64), (0, 1, 7, -256 * 64), (0, 2, 7, -256 * 128)])
 
 
 def test_few_candidates(spark):
