@@ -72,6 +72,13 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f fo
 _HOST = "translate(regexp_extract(coalesce(url, ''), '(?s)^.*?://([^/?#]*)', 1), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')"
 _PATH = "regexp_extract(coalesce(url, ''), '(?s)^.*?://[^/?#]*([^?#]*)', 1)"
 
+
+
+def _sql_pattern(part: str) -> str:
+    """The patterns' expressions without looking round, which DuckDB lacks: here every ^ stands beside a letter and ends a run."""
+    return part.replace(".", "[.]").replace("*", "(?s:.*)").replace("^", "(?:^|[^A-Za-z0-9]|$)")
+
+
 ORACLES: dict[str, str] = {
     "op1_preference_pairs": """
         WITH n AS (SELECT conv_id, coalesce(role, '') AS role, coalesce(text, '') AS text,
@@ -129,8 +136,8 @@ ORACLES: dict[str, str] = {
              rule(h, p, action) AS (VALUES {", ".join(f"('{h}', '{p}', '{a}')" for h, p, a in url_filter.HOST_RULES)}),
              fit AS (SELECT r, h || p AS rule, action, row_number() OVER (PARTITION BY r ORDER BY length(h || p) DESC, h || p) AS k
                      FROM u JOIN rule ON (host = h OR ends_with(host, '.' || h)) AND starts_with(path, p)),
-             pat(name, x, action) AS (VALUES {", ".join(f"('{n}', '{x}', '{a}')" for n, _, x, a in url_filter.PATTERN_RULES)}),
-             hit AS (SELECT r, name, action, row_number() OVER (PARTITION BY r ORDER BY name) AS k FROM u JOIN pat ON regexp_matches(host, x))
+             pat(name, x, y, action) AS (VALUES {", ".join(f"('{n}', '{_sql_pattern(p.partition('|')[0])}', '{_sql_pattern(p.partition('|')[2])}', '{a}')" for n, p, a in url_filter.PATTERN_RULES)}),
+             hit AS (SELECT r, name, action, row_number() OVER (PARTITION BY r ORDER BY name) AS k FROM u JOIN pat ON regexp_matches(host, x) AND regexp_matches(path, y))
         SELECT page_id, host, path, fit.rule AS rule, CASE WHEN fit.r IS NULL THEN name END AS pattern, coalesce(fit.action, hit.action, 'allow') AS verdict
         FROM u LEFT JOIN fit ON fit.r = u.r AND fit.k = 1 LEFT JOIN hit ON hit.r = u.r AND hit.k = 1""",
 }

@@ -98,13 +98,24 @@ def test_urls_against_plain_rules(spark):
         (row,) = got[i]
         assert row[:3] == (host, path, best and best[0]) and row[4] == (best[1] if best else "block" if bad else "allow"), u
     assert url_filter.filter_urls(df.limit(0)).count() == 0 and url_filter.filter_urls(df, (), ()).filter("verdict <> 'allow'").count() == 0
-    with pytest.raises(ValueError, match="rules"):
-        url_filter.filter_urls(df, [("a", "/", "allow")] * 10_001)
+    want = sorted(map(repr, url_filter.filter_urls(df).collect()))
+    more = [*url_filter.HOST_RULES, *((f"none{i}.test", "/", "block") for i in range(600))]  # beyond a literal index
+    assert sorted(map(repr, url_filter.filter_urls(df, more).collect())) == want
+    assert "Python" not in url_filter.filter_urls(df, more)._jdf.queryExecution().toString()
+
+
+def test_patterns(spark):
+    rules = [("two", "^shop^|/sale/*/item^", "block"), ("any", "x*y", "block"), ("path", "|/a.b^", "block")]
+    urls = ["http://shop.test/sale/1/item", "http://shop.test/sale//item-3", "http://shops.test/sale/1/item", "http://shop.test/sale/items", "http://my-shop.test/v/sale/q/r/item?z", "http://axby.test/", "http://ab.test/a.b", "http://ab.test/a.bc", "http://ab.test/aab/"]
+    got = {r["page_id"]: r["pattern"] for r in url_filter.filter_urls(spark.createDataFrame(list(enumerate(urls)), "page_id long, url string"), (), rules).collect()}
+    assert [got[i] for i in range(len(urls))] == ["two", "two", None, None, "two", "any", "path", None, None]
+    assert url_filter.pattern_tokens("^shop^|/sale/*/item^") == {"shop", "sale", "item"} and url_filter.pattern_tokens("x*y") == set() and url_filter.pattern_tokens("^cdn.x|/p*q/") == {"cdn"}
 
 
 def test_rules_are_indexed_by_their_rarest_sure_token():
     assert url_filter.literal_tokens("example.org", "/en/1") == {"example", "org", "en"} and url_filter.literal_tokens("com", "/fr/") == {"com", "fr"} and url_filter.literal_tokens("a.b", "") == {"a", "b"}
-    assert url_filter.rarest({"example", "org", "en"}, {"example": 9, "org": 3, "en": 5}) == "org" and url_filter.rarest(set(), {}) is None
+    assert url_filter.rarest({"example", "org", "en"}, {"example": 9, "org": 3, "en": 5}) == "org" and url_filter.rarest(set(), {}) == ""
+    assert dict((r[1], url_filter.rarest(t, {"pixel": 4, "beacon": 1, "cdn": 90})) for t, r in url_filter.compiled((), url_filter.PATTERN_RULES))["tracking pixels"] == "beacon"
 
 
 def test_native_operators_run_no_python(spark):
