@@ -188,6 +188,55 @@ def test_blocks_of_items(spark, monkeypatch):
     assert decontaminate.contaminated(docs(spark, []), b).count() == 0 and decontaminate.contaminated(d, b.limit(0)).count() == 0 and decontaminate.drop_contaminated(docs(spark), b).count() == docs(spark).count()
 
 
+def test_results_do_not_depend_on_blocks(spark, monkeypatch):
+    rng = random.Random(9)
+    common = prose(rng, 24)  # a passage that a third of the items share, so weights differ
+    items = [(i, (common + " " + prose(rng, 16)) if i % 3 == 0 else prose(rng, 40), 0) for i in range(30)]
+    items += [(100, items[5][1], 0), (101, items[5][1], 0)]  # equal texts
+    rows = [(i, prose(rng, 8) + " " + edited(rng, t, i % 5) + " " + prose(rng, 8)) for i, t, _ in items[:30]]
+    rows += [(200 + i, prose(rng, 5) + " " + common + " " + prose(rng, 20)) for i in range(5)]
+    d, b = as_docs(spark, rows), spark.createDataFrame(items, ITEMS)
+    results = []
+    for size in (20_000, 7):
+        monkeypatch.setattr(decontaminate, "ITEMS", size)
+        got = sorted((r["doc_id"], r["item_id"], round(r["similarity"], 9), r["start_word"]) for r in decontaminate.contaminated(d, b).collect())
+        results.append(got)
+        assert sorted(r["doc_id"] for r in decontaminate.drop_contaminated(d, b).collect()) == sorted({i for i, _ in rows} - {r[0] for r in got})
+    assert results[0] == results[1] and {(5, 5), (5, 100), (5, 101)} <= {r[:2] for r in results[0]}
+
+
+def test_recall_where_items_share_shingles():
+    rng = random.Random(21)
+    shared = [prose(rng, 25) for _ in range(4)]
+    items = [(i, " ".join(rng.sample([shared[i % 4], prose(rng, 35)], 2))) for i in range(40)]
+    bench = decontaminate.Benchmark(items)
+    assert len(set(np.round(bench.weights(bench.shingles[0]), 6).tolist())) > 1
+    right = found = 0
+    for _ in range(12):
+        texts = [" ".join([prose(rng, 10), edited(rng, t, rng.randrange(0, 4)), prose(rng, 10)]) for _, t in items]
+        got = dict(bench.search(texts))
+        for at, text in enumerate(texts):
+            h = Words([decontaminate.words_of(text)]).hashes()
+            grams = decontaminate.chained(h, 5)
+            for item in range(len(items)):
+                n = bench.sizes[item] - 4
+                best = max(bench.alike(grams[i : i + n], item) for i in range(max(0, 10 - 3), 14)) if item == at else 0
+                if best >= 0.8:
+                    right += 1
+                    found += item in got.get(at, {})
+    assert right > 100 and found >= 0.9 * right, (right, found)
+
+
+def test_long_repeated_texts(monkeypatch):
+    monkeypatch.setattr(decontaminate, "_WINDOWS", 64)
+    monkeypatch.setattr(decontaminate, "_EXPANDED", 50)
+    rng = random.Random(3)
+    items = [(i, prose(rng, 30)) for i in range(5)]
+    text = " ".join([items[2][1]] * 40 + [prose(rng, 200), items[4][1]])
+    found = dict(decontaminate.Benchmark(items).search([text, prose(rng, 60)]))
+    assert set(found) == {0} and found[0][2] == (1.0, 0) and found[0][4] == (1.0, 40 * 30 + 200)
+
+
 def test_index_gives_all_within_the_radius():
     rng = np.random.default_rng(5)
     known = rng.integers(0, 2**64, (60, 2), np.uint64)
