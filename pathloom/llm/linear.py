@@ -24,10 +24,14 @@ def held_out(doc_id: str = "doc_id") -> Column:
 
 
 def labelled_sample(docs: DataFrame, labels: DataFrame, target: str, bound: int = SAMPLE) -> DataFrame:
-    """doc_id, text, y: at most bound labelled ids outside the held-out fold. An id with several labels has the largest."""
+    """doc_id, text, y: at most bound labelled rows outside the held-out fold, those of the smallest hash. An id with several labels has the largest; rows
+    that repeat an id and a text are one."""
     known = labels.filter(F.col("doc_id").isNotNull() & F.col(target).isNotNull()).groupBy(F.col("doc_id").cast("long").alias("doc_id")).agg(F.max(target).cast("int").alias("y")).filter(~held_out())
-    chosen = known.orderBy(F.xxhash64("doc_id"), "doc_id").limit(bound)  # a bounded number of rows, hence the broadcast
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).join(F.broadcast(chosen), "doc_id")
+    chosen = known.orderBy(F.xxhash64("doc_id"), "doc_id").limit(bound)  # a bounded number of rows, hence the broadcasts
+    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).join(F.broadcast(chosen), "doc_id")
+    texts = texts.withColumn("_h", F.xxhash64("text"))
+    few = texts.select("doc_id", "_h").distinct().orderBy(F.xxhash64("doc_id"), "doc_id", "_h").limit(bound)
+    return texts.join(F.broadcast(few), ["doc_id", "_h"]).groupBy("doc_id", "_h").agg(F.first("text").alias("text"), F.first("y").alias("y")).select("doc_id", "text", "y")
 
 
 class Ftrl:
