@@ -1,6 +1,7 @@
 """Token ids as ORC files: integer run-length encoding, row index, Bloom filter on the document id.
 
-Documents are dealt by ranges of doc_id (ascending, null first; equal ids by text), each range is one sorted file of rows
+Documents are dealt by ranges of doc_id (ascending, null first; equal ids by a hash of the text, so that many texts of one id need not share a
+file), each range is one sorted file of rows
 (doc_id, ids array<int>). ORC stores the ids of a stripe with its integer run-length encoding, keeps minima and maxima of doc_id for
 each row group and a Bloom filter of doc_id, so readers skip stripes by metadata and read stripes in parallel.
 
@@ -65,7 +66,13 @@ class Encoder:
         self.kinds = _kinds()
         contents = sorted(re.escape(t.content) for t in self.tokenizer.get_added_tokens_decoder().values())
         self.special = re.compile("|".join(contents), re.IGNORECASE).search if contents else lambda text: None  # more than the library finds does no harm
-        self.odd = re.compile(r"[^\x00-\x7F]").search, regex.compile(r"[^\x00-\x7F\p{L}]").search
+        self.odd = re.compile(r"[^\x00-\x7F]").search, regex.compile(rf"[^\x00-\x7F\p{{L}}]|[{self.unsafe_letters()}]").search
+
+    def unsafe_letters(self) -> str:
+        """Letters whose normal form is more than letters: beside the mark that they end in, the tokenizer does not cut where it would beside a letter."""
+        letters = "".join(regex.findall(r"\p{L}", "".join(map(chr, (*range(0x80, 0xD800), *range(0xE000, 0x110000))))))
+        forms = self.normalize(" ".join(letters)).split(" ")
+        return "".join(c for c, form in zip(letters, forms, strict=True) if not regex.fullmatch(r"\p{L}+", form))
 
     def documents(self, texts: list[str], end_id: int) -> tuple[np.ndarray, np.ndarray]:
         """Ids of all texts in a row, each with the end id, and the number of ids of each text; special strings have their own ids."""
@@ -84,7 +91,7 @@ class Encoder:
     def run(self, texts: list[str], end_id: int) -> tuple[np.ndarray, np.ndarray]:
         """As documents, with special strings as ordinary text."""
         raw = [encoded_text(t, lower=True) for t in texts]
-        # Longer characters count as letters in texts that have no other such characters; else nothing is cut beside them.
+        # Longer characters count as letters in texts where all of them are and stay letters; else nothing is cut beside them.
         plain = np.array([not self.odd[0](t) or not self.odd[1](t) for t in texts], bool)
         body = np.frombuffer(b" ".join([*raw, b""]), np.uint8)
         sizes = np.array([len(r) + 1 for r in raw])
@@ -183,10 +190,12 @@ def encoded(docs: DataFrame, tokenizer_path: str, end_id: int = END_ID) -> DataF
     return docs.select("doc_id", "text").mapInArrow(encode, "doc_id long, ids array<int>")
 
 
-def write_tokens(docs: DataFrame, path: str, tokenizer_path: str, end_id: int = END_ID) -> str:
-    """One ORC file for each range of doc_id, ascending within and between files. docs is read twice, once for the ranges."""
+def write_tokens(docs: DataFrame, path: str, tokenizer_path: str, end_id: int = END_ID, files: int | None = None) -> str:
+    """One ORC file for each range of doc_id, ascending within and between files; as many as given, else by size as Spark plans them. docs is read
+    twice, once for the ranges."""
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    ranged = rows.repartitionByRange(F.col("doc_id").asc_nulls_first()).sortWithinPartitions(F.col("doc_id").asc_nulls_first(), "text")
+    order = [F.col("doc_id").asc_nulls_first(), F.xxhash64("text"), F.col("text")]  # texts of one id may go to several files
+    ranged = (rows.repartitionByRange(files, *order[:2]) if files else rows.repartitionByRange(*order[:2])).sortWithinPartitions(*order)
     out = encoded(ranged, tokenizer_path, end_id).write.mode("overwrite")
     out.option("orc.bloom.filter.columns", "doc_id").option("orc.bloom.filter.fpp", BLOOM_FPP).option("orc.row.index.stride", ROW_INDEX_STRIDE).option("compression", "zstd").orc(path)
     return path
@@ -211,9 +220,10 @@ def token_report(spark: SparkSession, path: str) -> DataFrame:
             yield pa.RecordBatch.from_arrays([batch["doc_id"], batch["_file"], batch["_block"], batch["_row"], pa.array(np.diff(ends), pa.int64()), pa.array(crc, pa.int64())], ["doc_id", "file", "block", "row", "n_tokens", "ids_crc32"])
 
     rows = written(read_tokens(spark, path, ordered=True).mapInArrow(digest, "doc_id long, file string, block long, row long, n_tokens long, ids_crc32 long"), "digests")
-    files = rows.groupBy("file").agg(F.sum("n_tokens").alias("_n"), F.min(F.struct(F.col("doc_id").isNotNull().alias("some"), "doc_id")).alias("_first"))
+    part = F.regexp_extract("file", r"part-(\d+)", 1).cast("long")  # files are numbered in the order of their ranges
+    files = rows.groupBy("file").agg(F.sum("n_tokens").alias("_n")).withColumn("_part", part)
     before = lambda w: F.coalesce(F.sum("_n").over(w.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
-    offsets = files.select("file", before(Window.partitionBy(F.lit(0)).orderBy("_first.some", "_first.doc_id", "file")).alias("_offset"))
+    offsets = files.select("file", before(Window.partitionBy(F.lit(0)).orderBy("_part", "file")).alias("_offset"))
     placed = rows.join(offsets, "file").withColumnRenamed("n_tokens", "_n")
     within = Window.partitionBy("file").orderBy("block", "row")
     return placed.select("doc_id", (F.col("_offset") + before(within)).alias("start"), F.col("_n").alias("n_tokens"), "ids_crc32")

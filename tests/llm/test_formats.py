@@ -1,3 +1,4 @@
+import random
 import zlib
 
 import duckdb
@@ -129,15 +130,41 @@ TEXTS = ["", "a", "it's we'll DON'T 'S x'S", "E\u0301\u0301cole cafe\u0301 Café
 
 def test_pieces_give_the_ids_of_whole_texts():
     plain = Tokenizer.from_file(tokenizer_path())
-    plain.encode_special_tokens = True
     encoder = token_output.Encoder(tokenizer_path())
-    for text in [*TEXTS, " ".join(TEXTS), "\n".join(TEXTS)]:
+    texts = [t for t in [*TEXTS, "İ.", "ø.Σİ_Z", "\u0958.x", "a\u09dc-b"] if "<|" not in t]
+    for text in [*texts, " ".join(texts), "\n".join(texts)]:
         assert encoder.ids(text) == plain.encode(text, add_special_tokens=False).ids, text
-    flat, n = encoder.run(TEXTS, 2)
-    assert flat.tolist() == [i for t in TEXTS for i in [*plain.encode(t, add_special_tokens=False).ids, 2]] and n.sum() == len(flat)
+    flat, n = encoder.run(texts, 2)
+    assert flat.tolist() == [i for t in texts for i in [*plain.encode(t, add_special_tokens=False).ids, 2]] and n.sum() == len(flat)
     encoder.pool, encoder.used = np.zeros(8, np.int32), 0
     encoder.key[:] = 0
-    assert encoder.run(TEXTS, 2)[0].tolist() == flat.tolist()  # what is remembered is dropped when full
+    assert encoder.run(texts, 2)[0].tolist() == flat.tolist()  # what is remembered is dropped when full
+
+
+def test_every_letter_beside_marks():
+    import unicodedata
+
+    plain = Tokenizer.from_file(tokenizer_path())
+    encoder = token_output.Encoder(tokenizer_path())
+    letters = [c for c in map(chr, (*range(0x80, 0xD800), *range(0xE000, 0x30000))) if unicodedata.category(c)[0] == "L"]
+    common = [c for c in letters if not (0x3400 <= ord(c) <= 0x9FFF or 0xAC00 <= ord(c) <= 0xD7A3 or ord(c) >= 0x17000)]  # each alone; the rest in rows
+    texts = [f"{c}.x_{c}a-{c}" for c in common] + [f"{''.join(letters[i : i + 20])}." + "".join(f"{c}!" for c in letters[i : i + 20]) for i in range(0, len(letters), 20)]
+    want = [e.ids for e in plain.encode_batch(texts, add_special_tokens=False)]
+    for at in range(0, len(texts), 128):
+        flat, n = encoder.documents(texts[at : at + 128], 2)
+        assert flat.tolist() == [i for w in want[at : at + 128] for i in [*w, 2]], at
+
+
+def test_random_texts_have_the_ids_of_the_library():
+    rng = random.Random(11)
+    plain = Tokenizer.from_file(tokenizer_path())
+    encoder = token_output.Encoder(tokenizer_path())
+    alphabet = [*"abzAZ019 .,-_!?'\"\n\t", "\u0301", "\u0307", "\u093c", "\u0130", "\u00f8", "\u03a3", "\u03c2", "\u0958", "\u09dc", "\u0a33", "\u1112", "\u1161", "\u11ab", "日", "\u00a0", "½", "😀", "<|endoftext|>", "'s", "'LL"]
+    texts = ["".join(rng.choice(alphabet) for _ in range(rng.randrange(1, 12))) for _ in range(20000)]
+    flat, n = encoder.documents(texts, 2)
+    want = [[*plain.encode(t, add_special_tokens=False).ids, 2] for t in texts]
+    got = [x.tolist() for x in np.split(flat, np.cumsum(n)[:-1])]
+    assert [t for t, w, g in zip(texts, want, got, strict=True) if w != g] == []
 
 
 def test_special_strings_have_their_own_ids(spark):
@@ -157,7 +184,7 @@ def test_token_files(spark, tmp_path):
     path = token_output.write_tokens(docs(spark).repartition(5), f"file://{tmp_path}/t", tokenizer_path())
     plain = Tokenizer.from_file(tokenizer_path())
     rows = docs(spark).select("doc_id", "text").collect()
-    rows.sort(key=lambda r: (r["doc_id"] is not None, r["doc_id"] or 0))
+    rows.sort(key=lambda r: (r["doc_id"] is not None, r["doc_id"] or 0))  # equal ids have equal texts here
     at, want = 0, []
     for r in rows:
         ids = [*plain.encode(r["text"] or "", add_special_tokens=False).ids, 2]
