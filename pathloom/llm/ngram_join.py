@@ -57,17 +57,17 @@ def frequent_cells(docs: DataFrame, k: int) -> np.ndarray:
     cells = 1 << _CELL_BITS
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total, waiting, held = np.zeros(cells, np.int64), [], 0
+        total, waiting, held = np.zeros(cells, np.int32), [], 0
         for batch in batches:
             for at in range(0, batch.num_rows, _ROWS):
                 for s in shingle_sets(batch.column(0).slice(at, _ROWS).to_pylist(), k):
                     waiting.append((s >> np.uint64(64 - _CELL_BITS)).astype(np.int32))
                     held += len(s)
-                    if held > cells:
-                        total += np.bincount(np.concatenate(waiting), minlength=cells)
+                    if held > cells // 4:
+                        np.add.at(total, np.concatenate(waiting), 1)
                         waiting, held = [], 0
         if waiting:
-            total += np.bincount(np.concatenate(waiting), minlength=cells)
+            np.add.at(total, np.concatenate(waiting), 1)
         mean = total.mean()
         found = np.flatnonzero(total > mean + 2.5 * np.sqrt(mean) + 1)
         yield pa.RecordBatch.from_arrays([pa.array(found, pa.int32()), pa.array(total[found], pa.int64())], ["cell", "n"])
@@ -326,19 +326,20 @@ def _linked(docs: DataFrame, k: int, num: int, den: int, count_links: bool) -> t
     release(spark)
 
     grouped, pivots = similar_groups(live)
-    lookup = lambda keys: whole_sets(docs, classes.join(keys, "key", "left_semi"), k)
+    # Rows of work are joined where the sets are made, if they are few, so that sets are shuffled once, to their groups.
+    with_sets = lambda work: _small(work).join(whole_sets(docs, classes.join(work, "key", "left_semi"), k), "key")
     if count_links:
         homes = grouped.withColumn("place", F.col("gid"))
         met = written(_meetings(live, homes, need), "meetings")
         forget(live)
         work = _searches(met, homes, True)
-        found = written(group_links(work.join(lookup(work), "key"), num, den), "found")
+        found = written(group_links(with_sets(work), num, den), "found")
         edges = found.select(F.col("node").alias("a"), F.col("root").alias("b"))
     else:
         alone = grouped.groupBy("gid").agg(F.count("*").alias("_n")).filter("_n > 1").select("gid")
         rows_of = grouped.select("gid", "key").unionAll(pivots.select("gid", "key")).join(alone, "gid", "left_semi")
         work = written(rows_of, "together").select("gid", F.lit(0).alias("slice"), F.lit(0).alias("part"), F.lit(True).alias("own"), F.col("gid").alias("home"), "key")
-        inside = written(group_links(work.join(lookup(work), "key"), num, den).select("node", "root"), "inside")
+        inside = written(group_links(with_sets(work), num, den).select("node", "root"), "inside")
         forget(work)
         known = written(components(inside.select(F.col("node").alias("a"), F.col("root").alias("b"))), "known")
         forget(inside)
@@ -349,7 +350,7 @@ def _linked(docs: DataFrame, k: int, num: int, den: int, count_links: bool) -> t
         met = written(_meetings(live, homes, need), "meetings")
         forget(live)
         work = _searches(met, homes, False)
-        across = written(group_links(work.join(lookup(work), "key"), num, den, inner=False).select("node", "root"), "across")
+        across = written(group_links(with_sets(work), num, den, inner=False).select("node", "root"), "across")
         edges = known.select(F.col("node").alias("a"), F.col("component").alias("b")).unionAll(across.select(F.col("node").alias("a"), F.col("root").alias("b")))
         more = not across.isEmpty()
     forget(met, work)

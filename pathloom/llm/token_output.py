@@ -31,7 +31,7 @@ from .words import encoded as encoded_text
 
 END_ID, BLOOM_FPP, ROW_INDEX_STRIDE = 2, 0.01, 1000
 #: Pieces that a worker remembers at most, as a power of 2, and their ids.
-_SLOT_BITS, _POOL = 22, 1 << 24
+_SLOT_BITS, _POOL = 20, 1 << 22
 _ROWS = 128
 
 
