@@ -31,7 +31,7 @@ def indexed_reach(graph: LabeledGraph, automaton: Automaton, seeds: Iterable[int
     if name not in copies:  # both directions in one table, written once
         all_ = graph.triples(labels)
         both = all_.select("label", F.lit(0).alias("inv"), F.col("src").alias("v"), "dst").unionAll(all_.select("label", F.lit(1).alias("inv"), F.col("dst").alias("v"), F.col("src").alias("dst")))
-        copies[name] = written(both.repartitionByRange("v").sortWithinPartitions("v"), "by-vertex")
+        copies[name] = written(both.repartitionByRange("v").sortWithinPartitions("v"), "by-vertex", lasting=True)
     both = copies[name]
     delta = F.broadcast(automaton.to_df(spark))
     states = F.array(*map(F.lit, sorted(automaton.starts))).cast("array<int>")

@@ -149,17 +149,17 @@ class LaidOut(LabeledGraph):
     def _stored(self, label: str, kind: str) -> DataFrame:
         if (label, kind) not in self._laid:
             make = {"pairs": lambda: self.graph.triples([label]), "rows": lambda: adjacency_out(self.graph, [label]), "columns": lambda: adjacency_in(self.graph, [label])}[kind]
-            self._laid[label, kind] = written(make(), f"layout-{kind}")
+            self._laid[label, kind] = written(make(), f"layout-{kind}", lasting=True)
         return self._laid[label, kind]
 
     def _tree(self, label: str) -> tuple[DataFrame, DataFrame, int]:
         """The tree of a label, its vertices (v, key from 1), and the number of levels."""
         if (label, "quadtree") not in self._laid:
             e = self.graph.edges(label)
-            numbers = written(dictionary(F.col("v"), e.select(F.col("src").alias("v")).unionAll(e.select(F.col("dst").alias("v"))), "v"), "numbers")
+            numbers = written(dictionary(F.col("v"), e.select(F.col("src").alias("v")).unionAll(e.select(F.col("dst").alias("v"))), "v"), "numbers", lasting=True)
             levels = max(1, int(numbers.count()).bit_length())
             a, b = numbers.select(F.col("v").alias("src"), F.col("key").alias("row")), numbers.select(F.col("v").alias("dst"), F.col("key").alias("col"))
-            self._laid[label, "quadtree"] = (written(quadtree(written(e.join(a, "src").join(b, "dst").select("row", "col"), "matrix"), levels), "quadtree"), numbers, levels)
+            self._laid[label, "quadtree"] = (written(quadtree(written(e.join(a, "src").join(b, "dst").select("row", "col"), "matrix"), levels), "quadtree", lasting=True), numbers, levels)
         return self._laid[label, "quadtree"]
 
     def _read(self, label: str, inv: int) -> DataFrame:

@@ -91,7 +91,7 @@ def dictionary(values: Column, table: DataFrame, name: str = "value") -> DataFra
     """
     from .store import written
 
-    sorted_ = written(table.select(values.alias(name)).filter(F.col(name).isNotNull()).distinct().repartitionByRange(name).withColumn("_part", F.spark_partition_id()), "dictionary")
+    sorted_ = written(table.select(values.alias(name)).filter(F.col(name).isNotNull()).distinct().repartitionByRange(name).withColumn("_part", F.spark_partition_id()), "dictionary", lasting=True)
     sizes = sorted_.groupBy("_part").agg(F.count("*").alias("_n"))
     before = Window.partitionBy(F.lit(0)).orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)
     offsets = sizes.select("_part", F.coalesce(F.sum("_n").over(before), F.lit(0)).alias("_before"))

@@ -32,18 +32,19 @@ def _hadoop(spark: SparkSession, path: str):
     return there.getFileSystem(spark._jsparkSession.sessionState().newHadoopConf()), there
 
 
-def new_path(spark: SparkSession, name: str) -> str:
-    """A path for a table; what stands there when the application ends, or an open scratch() block does, is deleted."""
+def new_path(spark: SparkSession, name: str, lasting: bool = False) -> str:
+    """A path for a table. An open scratch() block deletes what stands there at its end, unless it is lasting."""
     path = f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex}"
-    if _OPEN:
+    if _OPEN and not lasting:
         _OPEN[-1].append(path)
     return path
 
 
-def written(df: DataFrame, name: str) -> DataFrame:
-    """The rows of df, computed once and read back from the shared folder: a lost executor costs no recomputation."""
+def written(df: DataFrame, name: str, lasting: bool = False) -> DataFrame:
+    """The rows of df, computed once and read back from the shared folder: a lost executor costs no recomputation. The table goes with the
+    application, or with an open scratch() block unless it is lasting, as tables that a graph keeps for later queries are."""
     spark = df.sparkSession
-    path = new_path(spark, name)
+    path = new_path(spark, name, lasting)
     try:
         df.write.parquet(path)
     finally:

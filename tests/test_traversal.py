@@ -319,6 +319,10 @@ def test_tables_of_a_run_are_deleted(spark):
         assert ends(reach.frontier_reach(graph(spark, line(5)), dfa("d*"), [0], literal_cap=0)) == list(range(6))
         assert set(os.listdir(folder)) > before
     assert set(os.listdir(folder)) == before
+    g = graph(spark, line(3))
+    for _ in range(2):  # what a graph keeps outlives the run that made it
+        with scratch(spark):
+            assert pairs(baselines.indexed_reach(g, dfa("d+"), [0])) == [(0, 1), (0, 2), (0, 3)]
 
 
 def test_reordering_with_a_fixed_end(spark):
