@@ -49,7 +49,7 @@ MEMBERS, QUERIES, TOKENS, SHARED, PIVOTS = 1024, 512, 1_000_000, 5, 32
 #: Up to so many rows that describe groups, or name the classes to look up, are broadcast; beyond it they are joined.
 BROADCAST_GROUPS = 200_000
 _CELL_BITS = 22
-_ROWS, _EXPANDED = 128, 2_000_000
+_ROWS, _EXPANDED = 128, 500_000
 
 
 def frequent_cells(docs: DataFrame, k: int) -> np.ndarray:
