@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .store import written
+from .store import lean, small_batches, written
 from .words import Words, chained, mix, pieces
 
 K, SIMILARITY, BITS, RADIUS, ITEMS = 5, 0.8, 128, 35, 20_000
@@ -224,7 +224,7 @@ def cell_counts(texts: DataFrame) -> tuple[np.ndarray, np.ndarray]:
         found = np.flatnonzero(total)
         yield pa.RecordBatch.from_arrays([pa.array(found, pa.int32()), pa.array(total[found], pa.int64())], ["cell", "n"])
 
-    rows = texts.select("text").mapInArrow(count, "cell int, n long").groupBy("cell").agg(F.sum("n").alias("n")).toArrow()
+    rows = texts.select("text").mapInArrow(lean(count), "cell int, n long").groupBy("cell").agg(F.sum("n").alias("n")).toArrow()
     cells, counts = rows["cell"].to_numpy().astype(np.int64), rows["n"].to_numpy()
     order = np.argsort(cells)
     return cells[order], counts[order]
@@ -238,6 +238,7 @@ def item_texts(items: DataFrame) -> DataFrame:
 
 def benchmark_blocks(items: DataFrame, similarity: float = SIMILARITY) -> tuple[int, Iterator[Benchmark]]:
     """The number of blocks of about ITEMS texts at most, and the blocks, each made when it is asked for."""
+    small_batches(items.sparkSession)
     rows = item_texts(items)
     total = rows.count()
     n = max(1, -(-total // ITEMS))
@@ -264,7 +265,7 @@ def contaminated(docs: DataFrame, items: DataFrame, similarity: float = SIMILARI
                 columns = zip(*rows, strict=True) if rows else ([], [], [], [])
                 yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, (pa.int64(), pa.int64(), pa.float64(), pa.int64()), strict=True)], ["doc_id", "ident", "similarity", "start_word"])
 
-        found = ready.mapInArrow(search, "doc_id long, ident long, similarity double, start_word long")
+        found = ready.mapInArrow(lean(search), "doc_id long, ident long, similarity double, start_word long")
         found = written(found, "hits") if n > 1 else found
         out = found if out is None else out.unionAll(found)
     ids = items.select(F.xxhash64(F.col("text").cast("string")).alias("ident"), F.col("item_id").cast("long").alias("item_id"))
@@ -286,6 +287,6 @@ def drop_contaminated(docs: DataFrame, items: DataFrame, similarity: float = SIM
                         clean[at + j] = False
                 yield batch.filter(pa.array(clean))
 
-        docs = docs.mapInArrow(keep, docs.schema)
+        docs = docs.mapInArrow(lean(keep), docs.schema)
         docs = written(docs, "clean") if i < n - 1 else docs
     return docs

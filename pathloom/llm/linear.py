@@ -10,6 +10,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .store import lean, small_batches
+
 #: A model learns from at most so many labelled rows, those of the smallest hash of the id. Models are bounded by their hash buckets.
 SAMPLE, BUCKET_BITS = 12_000, 20
 _ROWS = 128
@@ -80,8 +82,8 @@ def model_of(sample: DataFrame, features: Callable[[list], list[tuple[Sparse, Sp
             at = np.flatnonzero(w)
             yield pd.DataFrame({"at": at.astype(np.int32), "w": w[at]})
 
-    made = sample.mapInPandas(featurise, "doc_id long, y int, x0 binary, x1 binary, twin0 binary, twin1 binary")
-    rows = made.repartition(1).mapInPandas(learn, "at int, w double").toPandas()
+    made = sample.mapInPandas(lean(featurise), "doc_id long, y int, x0 binary, x1 binary, twin0 binary, twin1 binary")
+    rows = made.repartition(1).mapInPandas(lean(learn), "at int, w double").toPandas()
     out = np.zeros(1 << BUCKET_BITS, np.float32)
     out[rows["at"].to_numpy(int)] = rows["w"].to_numpy(np.float32)
     return out
@@ -89,6 +91,7 @@ def model_of(sample: DataFrame, features: Callable[[list], list[tuple[Sparse, Sp
 
 def scored(docs: DataFrame, features: Callable[[list], list], weights: np.ndarray, keep: Callable[[np.ndarray], np.ndarray] | None = None) -> DataFrame:
     """docs with a column _score; with keep, only the rows whose scores it accepts (and no score), so that texts are moved nowhere."""
+    small_batches(docs.sparkSession)
     columns = docs.columns
     at_text = columns.index("text")
 
@@ -104,4 +107,4 @@ def scored(docs: DataFrame, features: Callable[[list], list], weights: np.ndarra
                 yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(p)], [*columns, "_score"])
 
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema)
-    return docs.mapInArrow(score, schema if keep is not None else f"{schema}, _score double")
+    return docs.mapInArrow(lean(score), schema if keep is not None else f"{schema}, _score double")

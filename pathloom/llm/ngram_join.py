@@ -41,7 +41,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import IntegerType, LongType, StructField, StructType
 
-from .store import forget, release, written
+from .store import forget, lean, release, small_batches, written
 from .words import mix, shingle_sets
 
 WORDS, NUM, DEN = 3, 90, 100
@@ -73,7 +73,7 @@ def frequent_cells(docs: DataFrame, k: int) -> np.ndarray:
         yield pa.RecordBatch.from_arrays([pa.array(found, pa.int32()), pa.array(total[found], pa.int64())], ["cell", "n"])
 
     level = F.round(32 * F.log2(F.sum("n"))).cast("short")
-    rows = docs.select("text").mapInArrow(count, "cell int, n long").groupBy("cell").agg(level.alias("level")).toArrow()
+    rows = docs.select("text").mapInArrow(lean(count), "cell int, n long").groupBy("cell").agg(level.alias("level")).toArrow()
     out = np.zeros(cells, np.int16)
     out[rows["cell"].to_numpy()] = rows["level"].to_numpy()
     return out
@@ -110,7 +110,7 @@ def set_features(docs: DataFrame, k: int, num: int, den: int) -> DataFrame:
                 yield pa.RecordBatch.from_arrays([part.column(0), *columns], ["doc_id", "n", "d1", "d2", "prefix"])
 
     ready = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    return ready.mapInArrow(rows, "doc_id long, n int, d1 long, d2 long, prefix array<long>")
+    return ready.mapInArrow(lean(rows), "doc_id long, n int, d1 long, d2 long, prefix array<long>")
 
 
 def _small(df: DataFrame) -> DataFrame:
@@ -139,7 +139,7 @@ def whole_sets(docs: DataFrame, wanted: DataFrame, k: int) -> DataFrame:
 
     texts = docs.select(F.col("doc_id").cast("long").alias("rep"), F.col("text").cast("string").alias("text"))
     asked = texts.join(_small(written(wanted.select("key", "rep", "copies"), "wanted")), "rep").select("key", "rep", "copies", "text")
-    return asked.mapInArrow(rows, "key long, rep long, copies long, tokens array<long>")
+    return asked.mapInArrow(lean(rows), "key long, rep long, copies long, tokens array<long>")
 
 
 class TokenGroup:
@@ -309,6 +309,7 @@ def _searches(met: DataFrame, homes: DataFrame, all_groups: bool) -> DataFrame:
 def _linked(docs: DataFrame, k: int, num: int, den: int, count_links: bool) -> tuple[DataFrame, DataFrame, DataFrame]:
     """Rows (doc_id, n, d1), their classes (key, rep, copies), and linked classes (node, component, links). Rows of no class have no words or no doc_id."""
     spark, need = docs.sparkSession, _Thresholds(num, den)
+    small_batches(spark)
     features = written(set_features(docs, k, num, den), "sets")
     some = features.filter("n > 0 and doc_id is not null")
     full = written(some.groupBy("n", "d1", "d2").agg(F.min("doc_id").alias("rep"), F.count("*").alias("copies"), F.first("prefix").alias("prefix")).withColumnRenamed("d1", "key"), "classes")
@@ -386,7 +387,7 @@ def _with_class(docs: DataFrame, k: int) -> DataFrame:
                 n, d1 = zip(*((len(s), digests(s)[0]) for s in sets), strict=True)
                 yield pa.RecordBatch.from_arrays([*part.columns, pa.array(n, pa.int32()), pa.array(d1, pa.int64())], schema.names)
 
-    return docs.mapInArrow(rows, schema)
+    return docs.mapInArrow(lean(rows), schema)
 
 
 def one_of_each(docs: DataFrame, k: int = WORDS, num: int = NUM, den: int = DEN) -> DataFrame:

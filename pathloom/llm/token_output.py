@@ -25,7 +25,7 @@ import regex
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .store import new_path, written
+from .store import lean, new_path, small_batches, written
 from .words import Words
 from .words import encoded as encoded_text
 
@@ -187,12 +187,13 @@ def encoded(docs: DataFrame, tokenizer_path: str, end_id: int = END_ID) -> DataF
                 offsets = pa.array(np.concatenate(([0], np.cumsum(sizes))), pa.int32())
                 yield pa.RecordBatch.from_arrays([part["doc_id"], pa.ListArray.from_arrays(offsets, pa.array(flat))], ["doc_id", "ids"])
 
-    return docs.select("doc_id", "text").mapInArrow(encode, "doc_id long, ids array<int>")
+    return docs.select("doc_id", "text").mapInArrow(lean(encode), "doc_id long, ids array<int>")
 
 
 def write_tokens(docs: DataFrame, path: str, tokenizer_path: str, end_id: int = END_ID, files: int | None = None) -> str:
     """One ORC file for each range of doc_id, ascending within and between files; as many as given, else by size as Spark plans them. docs is read
     twice, once for the ranges."""
+    small_batches(docs.sparkSession)
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     order = [F.col("doc_id").asc_nulls_first(), F.xxhash64("text"), F.col("text")]  # texts of one id may go to several files
     ranged = (rows.repartitionByRange(files, *order[:2]) if files else rows.repartitionByRange(*order[:2])).sortWithinPartitions(*order)
@@ -219,7 +220,7 @@ def token_report(spark: SparkSession, path: str) -> DataFrame:
             crc = [zlib.crc32(flat[a:b].tobytes()) for a, b in zip(ends[:-1].tolist(), ends[1:].tolist(), strict=True)]
             yield pa.RecordBatch.from_arrays([batch["doc_id"], batch["_file"], batch["_block"], batch["_row"], pa.array(np.diff(ends), pa.int64()), pa.array(crc, pa.int64())], ["doc_id", "file", "block", "row", "n_tokens", "ids_crc32"])
 
-    rows = written(read_tokens(spark, path, ordered=True).mapInArrow(digest, "doc_id long, file string, block long, row long, n_tokens long, ids_crc32 long"), "digests")
+    rows = written(read_tokens(spark, path, ordered=True).mapInArrow(lean(digest), "doc_id long, file string, block long, row long, n_tokens long, ids_crc32 long"), "digests")
     part = F.regexp_extract("file", r"part-(\d+)", 1).cast("long")  # files are numbered in the order of their ranges
     files = rows.groupBy("file").agg(F.sum("n_tokens").alias("_n")).withColumn("_part", part)
     before = lambda w: F.coalesce(F.sum("_n").over(w.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
