@@ -20,11 +20,7 @@ _SETTING = "spark.sql.execution.arrow.maxBytesPerBatch"
 def small_batches(spark: SparkSession) -> None:
     """Bound the batches sent to Python by bytes, in this session: 10,000 long texts in one buffer are copied on both sides, outside the heap. A lower bound stays."""
     found = spark.conf.get(_SETTING, None)
-    try:
-        lower = found is not None and 0 < int(found) <= BATCH_BYTES
-    except ValueError:  # written with a unit
-        lower = False
-    if not lower:
+    if found is None or spark._jvm.org.apache.spark.network.util.JavaUtils.byteStringAsBytes(found) > BATCH_BYTES:
         spark.conf.set(_SETTING, str(BATCH_BYTES))
 
 
