@@ -8,8 +8,9 @@ get from a dimension in which it was not met yet is at most the impact of the ne
 only on proof: when the rows whose bound reaches the k-th best exact score known in the block are at most FEW times k, those rows are
 rescored exactly; rows under it can't be members. The known score comes from rescoring the leading rows, so the proof holds at any time.
 
-A query set is paired with all data in blocks: every (data block, at most QUERIES queries) is one task's work, dealt by both numbers whatever its
-size in bytes; then the block results are cut to k. Nothing is broadcast and nothing grows with the data in one task.
+A query set is paired with all data in blocks: every (data block, part of the queries) is one task's work, dealt by both numbers whatever its size in
+bytes; then the block results are cut to k. A block is copied once for each part, so parts are as few as keep all cores busy, of QUERIES queries or more and
+MOST at most, and blocks are stored in the narrowest whole numbers that hold them. Nothing that grows with the data lies in one task.
 
 Defined results: vectors that are null, hold null or non-finite components, or are empty take no part, neither do rows without id. Any finite component
 takes part: where sums of 64 bits might overflow, scores are whole numbers of any length, and a member's score beyond 64 bits raises OverflowError. Vectors
@@ -27,28 +28,44 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 K, SCALE, EVERY = 5, 256, 50
-CELLS, QUERIES, SHIFT, CHECK_EVERY, FEW = 1 << 21, 256, 2, 128, 8
+CELLS, QUERIES, MOST, SHIFT, CHECK_EVERY, FEW = 1 << 21, 256, 1 << 14, 2, 128, 8
+#: Tasks that the pairs of blocks are dealt to, at most.
+MOST_TASKS = 1 << 12
 #: Sums of products under this bound stay exact in 64 bits, with room for the counts beside them.
 _SAFE = 2.0**45
 
 
+def narrowest(values: np.ndarray) -> np.ndarray:
+    """Whole numbers, given as doubles, in 2 or 4 bytes each where they fit."""
+    low, high = values.min(initial=0.0), values.max(initial=0.0)
+    for kind in (np.int16, np.int32):
+        if np.iinfo(kind).min <= low and high <= np.iinfo(kind).max:
+            return values.astype(kind)
+    return values
+
+
+def _places(n: int) -> type:
+    """The numbers that the rows of a block are stored as."""
+    return np.uint16 if n <= 1 << 16 else np.int32
+
+
 class ImpactIndex:
-    """Segments of one block of integer vectors (rows of whole numbers as doubles). order: row numbers by dimension and component, if known."""
+    """Segments of one block of integer vectors (rows of whole numbers). order: row numbers by dimension and component, if known."""
 
     def __init__(self, ids: np.ndarray, rows: np.ndarray, order: np.ndarray | None = None):
         self.ids, self.whole = ids, rows
-        self.largest = float(np.abs(rows).max(initial=0.0))
+        self.largest = max(float(rows.max(initial=0)), -float(rows.min(initial=0)))
         self.narrow = self.largest < 2.0**53
         self.read = self.rescored = 0  # segments read and rows rescored by the last search
         if not self.narrow:
             return
-        self.rows = rows.astype(np.int64)
+        self.rows = rows if rows.dtype.kind == "i" else rows.astype(np.int64)
         self.order = self.sorted(rows) if order is None else order
         self.segments: list[np.ndarray] = []
         low, high, dim = [], [], []
         for d in range(rows.shape[1]):
             place = self.order[d].astype(np.int64)
-            column = self.rows[place, d]
+            column = self.rows[place, d].astype(np.int64)
             cuts = np.flatnonzero(np.diff(column >> SHIFT)) + 1
             self.segments += np.split(place, cuts)
             begin = np.concatenate(([0], cuts))
@@ -59,12 +76,12 @@ class ImpactIndex:
 
     @staticmethod
     def sorted(rows: np.ndarray) -> np.ndarray:
-        return np.argsort(rows.T, axis=1, kind="stable").astype(np.int32)
+        return np.stack([np.argsort(column, kind="stable").astype(_places(len(rows))) for column in rows.T])
 
     def scores(self, may: np.ndarray, query: np.ndarray) -> np.ndarray:
         """Exact inner products: 64-bit numbers where they can't overflow, else whole numbers of any length."""
         if self.narrow and self.largest * float(np.abs(query).max()) * len(query) < 2.0**62:
-            return self.rows[may] @ query.astype(np.int64)
+            return self.rows[may].astype(np.int64) @ query.astype(np.int64)
         q = [int(x) for x in query.tolist()]
         return np.array([sum(int(a) * b for a, b in zip(row, q, strict=True)) for row in self.whole[may].tolist()], object)
 
@@ -103,7 +120,7 @@ class ImpactIndex:
             bound = (met >> 16) + left[step] * (d - (met & 0xFFFF)) + base
             if floor is None or step % (4 * CHECK_EVERY) == 0:
                 lead = np.argpartition(-bound, min(n - 1, 4 * k))[: 4 * k + 1]
-                known = np.sort((self.rows[lead] @ query)[self.ids[lead] != own])[::-1]
+                known = np.sort((self.rows[lead].astype(np.int64) @ query)[self.ids[lead] != own])[::-1]
                 if len(known) >= k:
                     floor = known[k - 1] if floor is None else max(floor, known[k - 1])
             if floor is not None and np.count_nonzero(bound >= floor) <= FEW * k:
@@ -118,7 +135,7 @@ def _ready(vectors: DataFrame, id_col: str, vector_col: str) -> DataFrame:
 
 
 def _packed(rows: DataFrame, scale: int, name: str, per_block: int | None = None) -> DataFrame:
-    """name, dims, ids, values (whole numbers as doubles) and, without per_block, the index's order, as bytes: at most per_block rows, or CELLS components, of equal length in each."""
+    """name, dims, ids, values (whole numbers of the type kind) and, without per_block, the index's order, as bytes: at most per_block rows, or CELLS components, of equal length in each."""
 
     def pack(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         import uuid
@@ -126,11 +143,15 @@ def _packed(rows: DataFrame, scale: int, name: str, per_block: int | None = None
         waiting: dict[int, list] = {}
 
         def out(d: int, got: list) -> pd.DataFrame:
-            values = np.floor(np.stack([v for _, v in got]) * scale)
+            values = np.stack([v for _, v in got])
+            values *= scale
+            np.floor(values, values)
             if not np.isfinite(values).all():
                 raise OverflowError("a scaled component is beyond doubles")
+            values = narrowest(values)
             order = ImpactIndex.sorted(values).tobytes() if per_block is None else b""
-            return pd.DataFrame({name: [uuid.uuid4().int & ((1 << 62) - 1)], "dims": [d], "ids": [np.array([i for i, _ in got], np.int64).tobytes()], "values": [values.tobytes()], "order": [order]})
+            ids = np.array([i for i, _ in got], np.int64).tobytes()
+            return pd.DataFrame({name: [uuid.uuid4().int & ((1 << 62) - 1)], "dims": [d], "kind": [values.dtype.str], "ids": [ids], "values": [values.tobytes()], "order": [order]})
 
         for batch in batches:
             for i, v in zip(batch["vec_id"].tolist(), batch["v"].tolist(), strict=True):
@@ -141,7 +162,12 @@ def _packed(rows: DataFrame, scale: int, name: str, per_block: int | None = None
         for d, got in waiting.items():
             yield out(d, got)
 
-    return rows.mapInPandas(pack, f"{name} long, dims int, ids binary, values binary, `order` binary")
+    return rows.mapInPandas(pack, f"{name} long, dims int, kind string, ids binary, values binary, `order` binary")
+
+
+def _parts(queries: int, blocks: int, cores: int) -> int:
+    """Parts of the queries: enough to keep all cores busy and for MOST queries in each at most, but no more than leave QUERIES in each."""
+    return max(1, -(-queries // MOST), min(-(-queries // QUERIES), -(-4 * cores // blocks)))
 
 
 def top_k(vectors: DataFrame, queries: DataFrame, k: int = K, scale: int = SCALE, id_col: str = "vec_id", vector_col: str = "embedding") -> DataFrame:
@@ -150,22 +176,25 @@ def top_k(vectors: DataFrame, queries: DataFrame, k: int = K, scale: int = SCALE
 
     ready, asking = _ready(vectors, id_col, vector_col), _ready(queries, id_col, vector_col)
     cells = ready.agg(F.sum(F.size("v"))).first()[0] or 0
-    # Rows are dealt evenly to as many tasks as there are blocks, queries to as many as there are query blocks.
+    # Rows are dealt evenly to as many tasks as there are blocks, queries to as many as there are parts of them.
     data = written(_packed(ready.repartition(1 + cells // CELLS), scale, "block"), "impact-blocks")
-    asked = written(_packed(asking.repartition(1 + asking.count() // QUERIES), scale, "part", QUERIES), "impact-queries").drop("order")
+    n_asked = asking.count()
+    parts = _parts(n_asked, 1 + cells // CELLS, vectors.sparkSession.sparkContext.defaultParallelism)
+    asked = written(_packed(asking.repartition(parts), scale, "part", 2 * (1 + n_asked // parts)), "impact-queries").drop("order")
     pairs = written(data.select("block", "dims").join(asked.select("part", "dims"), "dims").select("block", "part"), "impact-pairs")
     # A number of partitions that is given is not made smaller for want of bytes: the work lies in the pairs.
-    n = max(1, min(pairs.count(), 16 * vectors.sparkSession.sparkContext.defaultParallelism))
+    n = max(1, min(2 * pairs.count(), MOST_TASKS))
     blocks = data.join(pairs, "block").repartition(n, "block", "part")
-    asks = asked.join(pairs, "part").select("block", "part", F.col("ids").alias("query_ids"), F.col("values").alias("query_values")).repartition(n, "block", "part")
+    asks = asked.join(pairs, "part").select("block", "part", F.col("kind").alias("query_kind"), F.col("ids").alias("query_ids"), F.col("values").alias("query_values")).repartition(n, "block", "part")
 
     def search(block: pd.DataFrame, asks: pd.DataFrame) -> pd.DataFrame:
         found = []
         for row in block.itertuples(index=False):
             shape = (-1, row.dims)
-            index = ImpactIndex(np.frombuffer(row.ids, np.int64), np.frombuffer(row.values, np.float64).reshape(shape), np.frombuffer(row.order, np.int32).reshape(row.dims, -1))
+            ids = np.frombuffer(row.ids, np.int64)
+            index = ImpactIndex(ids, np.frombuffer(row.values, row.kind).reshape(shape), np.frombuffer(row.order, _places(len(ids))).reshape(row.dims, -1))
             for part in asks.itertuples(index=False):
-                for at, (q, v) in enumerate(zip(np.frombuffer(part.query_ids, np.int64).tolist(), np.frombuffer(part.query_values, np.float64).reshape(shape), strict=True)):
+                for at, (q, v) in enumerate(zip(np.frombuffer(part.query_ids, np.int64).tolist(), np.frombuffer(part.query_values, part.query_kind).astype(np.float64).reshape(shape), strict=True)):
                     ids, score = index.search(v, q, k)
                     found += [(part.part, at, q, i, int(s)) for i, s in zip(ids.tolist(), score.tolist(), strict=True)]
         if any(abs(f[4]) >= 1 << 63 for f in found):

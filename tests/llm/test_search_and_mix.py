@@ -90,6 +90,17 @@ def test_few_candidates(spark):
     assert top_k.top_k(df.limit(0), df.limit(0)).count() == 0
 
 
+def test_blocks_are_small_and_copied_for_few_parts(spark):
+    """A block is one row that is sorted and shuffled once for each part of the queries: its bytes, and the parts, bound an executor's memory."""
+    rng = np.random.default_rng(4)
+    df = spark.createDataFrame([(i, [float(np.float32(x)) for x in rng.normal(0, 0.2, 8)], 1) for i in range(400)], VEC)
+    block = top_k._packed(top_k._ready(df, "vec_id", "embedding").coalesce(1), 256, "block").first()
+    assert len(block["values"]) + len(block["order"]) == 400 * 8 * 4 and len(block["ids"]) == 400 * 8
+    assert top_k._parts(12_300, 19, 6) == 2 and top_k._parts(1_026, 2, 6) == 5 and top_k._parts(82_000, 100, 6) == 6 and top_k._parts(0, 1, 6) == 1
+    values = np.array([[-32768.0, 32767.0], [0.0, 1.0]])
+    assert [top_k.narrowest(values * x).dtype for x in (1, 2, 2.0**20)] == [np.int16, np.int32, np.float64]
+
+
 def fill(sizes, weights, share):
     """Targets by sharing again and again."""
     target, left, free = {}, share * sum(sizes.values()), dict(sizes)
